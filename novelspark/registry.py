@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from .plans import novelty
+
 FLAGSHIP = "vsm_weights"
+MODULES = (novelty,)
 
 
 def queries() -> dict:
-    return {}
+    return {name: q for m in MODULES for name, q in m.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {name: q for m in MODULES for name, q in m.SQL.items()}
