@@ -72,7 +72,11 @@ def _unknown_norm(docs: DataFrame, cfg: Config) -> DataFrame:
 
 def scores(docs: DataFrame, cfg: Config) -> DataFrame:
     """(doc_id, distance, match_id) of every document after the training; distance 1 and no match where nothing was compared."""
-    queries, past = vectors(docs, cfg)
+    return search(docs, *vectors(docs, cfg), cfg)
+
+
+def search(docs: DataFrame, queries: DataFrame, past: DataFrame, cfg: Config) -> DataFrame:
+    """The search alone: nearest history document of each query, from raw weights (batch_id, doc_id, term, x) of both sides."""
     key = ("batch_id", "doc_id")
     if cfg.search == "lsh":
         signed = lambda v: lsh.signatures(v, cfg.k, cfg.tables, cfg.seed, key)

@@ -27,7 +27,8 @@ def plane_bits(terms: DataFrame, planes: int, seed: int = 1) -> DataFrame:
     """(term, plane, sign): the components of ``planes`` planes, +1 or -1."""
     words = F.array(*[_word(F.col("term"), seed, w) for w in range(-(-planes // WORD))])
     out = terms.select("term", F.explode(F.sequence(F.lit(0), F.lit(planes - 1))).alias("plane"), words.alias("words"))
-    bit = F.get("words", F.floor(F.col("plane") / WORD).cast("int")).bitwiseAND(F.shiftleft(F.lit(1).cast("bigint"), F.col("plane") % WORD)) != 0
+    word = F.get("words", F.floor(F.col("plane") / WORD).cast("int"))
+    bit = F.call_function("shiftright", word, F.col("plane") % WORD).bitwiseAND(F.lit(1).cast("bigint")) != 0
     return out.select("term", "plane", F.when(bit, 1).otherwise(-1).alias("sign"))
 
 
@@ -50,7 +51,7 @@ def signatures(raw: DataFrame, k: int, tables: int, seed: int = 1, keys: tuple[s
     if plane == "gauss":
         parts = rows.join(plane_gauss(raw.select("term").distinct(), planes, seed), "term")
         sums = parts.groupBy(*keys, "plane").agg(F.sum(F.round(F.col("q") * F.col("component")).cast("bigint")).alias("s"))
-        bits = sums.select(*keys, F.floor(F.col("plane") / k).cast("int").alias("t"), F.when(F.col("s") >= 0, F.shiftleft(F.lit(1).cast("bigint"), F.col("plane") % k)).otherwise(0).alias("b"))
+        bits = sums.select(*keys, F.floor(F.col("plane") / k).cast("int").alias("t"), F.when(F.col("s") >= 0, F.call_function("shiftleft", F.lit(1).cast("bigint"), F.col("plane") % k)).otherwise(0).alias("b"))
         packed = bits.groupBy(*keys, "t").agg(F.sum("b").alias("bucket"))
         return packed.groupBy(*keys).agg(F.transform(F.sort_array(F.collect_list(F.struct("t", "bucket"))), lambda s: s["bucket"]).alias("bands"))
     words = [_word(F.col("term"), seed, w).alias(f"w{w}") for w in range(-(-planes // WORD))]

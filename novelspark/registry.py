@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from .plans import novelty
+from .plans import detectors, live, novelty, relational
 
 FLAGSHIP = "vsm_weights"
-MODULES = (novelty,)
+MODULES = (novelty, detectors, relational, live)
 
 
 def queries() -> dict:
