@@ -6,7 +6,8 @@ The byte-level splitting rule always starts a new piece at such a blank, so unit
 everyday characters are encoded in one call of ``tiktoken`` over the same vocabulary (its ranks); units with other
 characters or with a special token's string go to ``tokenizers``.  Both give the same ids, which a test compares.
 
-Memory is bounded: the unit table is emptied once it holds ``max_units`` units.
+Memory is bounded: the unit table is emptied once it holds ``max_units`` units, and a call works through its texts in lots of
+``LOT_CHARS`` characters (a longer text is a lot of its own).
 """
 
 from __future__ import annotations
@@ -19,6 +20,7 @@ import numpy as np
 DEFAULT_FILE = "byte_bpe_50k.json"
 RANK_FILES = {"byte_bpe_50k.json": "byte_bpe_50k.tiktoken"}
 SPECIAL = "<|endoftext|>"
+LOT_CHARS = 2_000_000
 CUT = re.compile(r" (?=\S)")
 UNEVEN = re.compile(r" (?:\s|\Z)")
 RARE = re.compile("[^\x20-\x7e\n\t\r\u00a1-\u024f]")
@@ -59,8 +61,22 @@ def token_bytes(tokenizer) -> tuple[np.ndarray, np.ndarray]:
     return np.fromiter(map(len, each), dtype=np.int64, count=len(each)), np.frombuffer(b"".join(each), dtype=np.uint8)
 
 
+def lots(texts: list[str | None], chars: int = LOT_CHARS):
+    """The texts in order, in lists of bounded length in characters."""
+    lot, held = [], 0
+    for t in texts:
+        size = len(t or "")
+        if lot and held + size > chars:
+            yield lot
+            lot, held = [], 0
+        lot.append(t)
+        held += size
+    if lot:
+        yield lot
+
+
 class UnitEncoder:
-    def __init__(self, path: str | None = None, max_units: int = 1_000_000):
+    def __init__(self, path: str | None = None, max_units: int = 500_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -146,6 +162,12 @@ class UnitEncoder:
 
     def encode(self, texts: list[str | None]) -> list[np.ndarray]:
         """Ids of each text as unsigned 32-bit arrays; a null text counts as empty."""
+        out: list[np.ndarray] = []
+        for lot in lots(texts):
+            out += self._encode(lot)
+        return out
+
+    def _encode(self, texts: list[str | None]) -> list[np.ndarray]:
         import pyarrow as pa
         import pyarrow.compute as pc
 
@@ -179,7 +201,7 @@ class UnitEncoder:
 
     def count(self, texts: list[str | None]) -> np.ndarray:
         """Number of ids of each text."""
-        return np.fromiter(map(len, self.encode(texts)), dtype=np.int64, count=len(texts))
+        return np.fromiter((len(x) for lot in lots(texts) for x in self._encode(lot)), dtype=np.int64, count=len(texts))
 
 
 class ByteDecoder:

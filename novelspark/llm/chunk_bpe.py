@@ -28,8 +28,8 @@ from .common import documents
 ROLL_BYTES, CHUNK_BITS = 32, 11
 #: Later text can move a piece boundary at most this many characters before the end (contractions look two ahead).
 UNSURE = 8
-#: Chunks kept for reuse in a task; the table is emptied beyond that.
-MAX_CHUNKS = 20_000
+#: Chunks kept for reuse in a task; beyond that only those of the texts at hand stay.
+MAX_CHUNKS = 6_000
 MIXER = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -113,6 +113,14 @@ class ChunkEncoder:
         return starts, np.searchsorted(ends, at, side="right")
 
     def encode(self, texts: list[str | None]) -> list[np.ndarray]:
+        from .bpe import lots
+
+        out: list[np.ndarray] = []
+        for lot in lots(texts):
+            out += self._encode(lot)
+        return out
+
+    def _encode(self, texts: list[str | None]) -> list[np.ndarray]:
         segments: list[str] = []
         counts: list[int] = []
         for t in texts:
@@ -214,14 +222,18 @@ def round_trip(docs: DataFrame, key: str = "doc_id", text: str = "text", path: s
     kind = docs.schema[key].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from .bpe import lots
+
+        held = chunk_encoder(path)
         for batch in batches:
-            held = chunk_encoder(path)
-            ids = held.encode(batch.column(1).to_pylist())
-            digests = [hashlib.sha256(x.astype("<u4").tobytes()).hexdigest() for x in ids]
-            texts = [hashlib.sha256(held.decode(x).encode()).hexdigest() for x in ids]
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(map(len, ids), type=pa.int64()), pa.array(digests), pa.array(texts)], names=["key", "n_tokens", "ids_sha256", "decoded_sha256"]
-            )
+            sizes, digests, texts = [], [], []
+            for lot in lots(batch.column(1).to_pylist()):
+                for ids in held.encode(lot):
+                    sizes.append(len(ids))
+                    digests.append(hashlib.sha256(ids.astype("<u4").tobytes()).hexdigest())
+                    texts.append(hashlib.sha256(held.decode(ids).encode()).hexdigest())
+            columns = [batch.column(0), pa.array(sizes, type=pa.int64()), pa.array(digests, type=pa.string()), pa.array(texts, type=pa.string())]
+            yield pa.RecordBatch.from_arrays(columns, names=["key", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     rows = docs.select(F.col(key).alias("key"), F.col(text).alias("text"))
     return rows.mapInArrow(run, f"key {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string").withColumnRenamed("key", key)
