@@ -122,7 +122,7 @@ def stem_vocab(vocabulary: DataFrame, term: str = "term") -> DataFrame:
     def stems(words: pd.Series) -> pd.Series:
         return words.map(porter)
 
-    udf = F.pandas_udf(stems, "string", F.PandasUDFType.SCALAR)
+    udf = F.pandas_udf(stems, "string")
     return vocabulary.select(term).distinct().withColumn("stem", udf(F.col(term)))
 
 

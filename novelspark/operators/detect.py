@@ -52,8 +52,8 @@ def vectors(docs: DataFrame, cfg: Config) -> tuple[DataFrame, DataFrame]:
     A pair is scored with both vectors under the query's model. The history is weighed once a batch, which a run over
     few batches affords; the streaming detector carries one model forward instead.
     """
-    tf = model.term_counts(docs, keys=("doc_id", "batch_id"))
-    held = models(docs, tf, cfg)
+    tf = model.term_counts(docs, keys=("doc_id", "batch_id")).persist()
+    held = models(docs, tf, cfg).persist()
     x = (model.damped(F.col("tf"), cfg.tf_mode, cfg.base, F.col("cf")) * F.col("idf")).alias("x")
     queries = tf.filter("batch_id > 0").join(held, ["batch_id", "term"]).select("batch_id", "doc_id", "term", x)
     past = tf.withColumnRenamed("batch_id", "own") if cfg.history == "all_seen" else tf.filter("batch_id = 0").withColumnRenamed("batch_id", "own")
@@ -72,7 +72,9 @@ def _unknown_norm(docs: DataFrame, cfg: Config) -> DataFrame:
 
 def scores(docs: DataFrame, cfg: Config) -> DataFrame:
     """(doc_id, distance, match_id) of every document after the training; distance 1 and no match where nothing was compared."""
-    return search(docs, *vectors(docs, cfg), cfg)
+    docs = docs.select("doc_id", "batch_id", "terms").persist()
+    queries, past = (v.persist() for v in vectors(docs, cfg))  # each is read by hashing, by the lengths and by the products
+    return search(docs, queries, past, cfg)
 
 
 def search(docs: DataFrame, queries: DataFrame, past: DataFrame, cfg: Config) -> DataFrame:

@@ -72,9 +72,9 @@ def sink_partitioned(spark, d):
 # ---- projection, filter, predicate -----------------------------------------------------------------------------------------------
 
 
-@query("op_project", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 2) AS net FROM lineitem")
+@query("op_project", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 4) AS net FROM lineitem")
 def op_project(spark, d):
-    return table(spark, d, "lineitem").select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 2).alias("net"))
+    return table(spark, d, "lineitem").select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 4).alias("net"))
 
 
 @query("op_filter_compare", "SELECT count(*) AS n FROM lineitem WHERE l_quantity BETWEEN 10 AND 20 AND l_returnflag IN ('A', 'R') AND l_shipdate < TIMESTAMP '1997-01-01'")
@@ -256,7 +256,7 @@ _plain("agg_having", "SELECT l_partkey, count(*) AS n FROM lineitem GROUP BY l_p
 
 @query("agg_pivot", "SELECT lang, count(*) FILTER (source = 'src0') AS src0, count(*) FILTER (source = 'src1') AS src1 FROM documents GROUP BY lang")
 def agg_pivot(spark, d):
-    return table(spark, d, "documents").groupBy("lang").pivot("source", ["src0", "src1"]).agg(F.count("*")).na.fill(0)
+    return table(spark, d, "documents").groupBy("lang").pivot("source", ["src0", "src1"]).agg(F.count(F.lit(1))).na.fill(0)
 
 
 @query("agg_unpivot", "SELECT doc_id, 'quality' AS label, quality AS value FROM labels UNION ALL SELECT doc_id, 'toxic', toxic FROM labels")

@@ -15,6 +15,7 @@ from ..operators.model import term_counts
 from ..sources.tables import table
 
 SIZE, LONG, GRAM = 40, 200, 5
+USED = 100 + SIZE
 
 
 def tokenised(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -22,14 +23,17 @@ def tokenised(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def parents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc_id, terms, p, n): long documents whose openings share no 5-gram with an earlier long document's, numbered by md5."""
-    long = tokenised(spark, sf_dir).filter(F.size("terms") >= LONG).select("doc_id", "terms")
+    """(doc_id, terms, p, n): long documents whose openings share no 5-gram with an earlier long document's, numbered by md5.
+
+    Only the terms that snippets are cut from are kept.
+    """
+    long = tokenised(spark, sf_dir).filter(F.size("terms") >= LONG).select("doc_id", F.slice("terms", 1, USED).alias("terms")).persist()
     grams = long.select("doc_id", F.explode(ngrams(F.slice("terms", 1, SIZE), GRAM)).alias("g"))
     first = grams.groupBy("g").agg(F.min("doc_id").alias("first"))
     shared = grams.join(first, "g").filter("first < doc_id").select("doc_id").distinct()
     kept = long.join(shared, "doc_id", "left_anti")
     order = W.orderBy(F.md5(F.concat(F.lit("p"), F.col("doc_id").cast("string"))), "doc_id")
-    return kept.withColumn("p", F.row_number().over(order) - 1).withColumn("n", F.count("*").over(W.partitionBy()))
+    return kept.withColumn("p", F.row_number().over(order) - 1).withColumn("n", F.count("*").over(W.partitionBy())).persist()
 
 
 def constructed(spark: SparkSession, sf_dir: str, keep: float = 0.3, burst: int = 1, batch: int = 42) -> DataFrame:
