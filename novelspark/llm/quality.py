@@ -20,27 +20,33 @@ WINDOW = 8
 MIN_WORDS, MAX_REPEAT_PERCENT = 20, 30
 #: A document is rejected if removed lines held more than this percentage of its words.
 MAX_LOST_PERCENT = 40
-BLANKS = "\t\n\x0b\x0c\r"
+BLANKS = r"[\x20\x09-\x0D]+"
 A_WORD = r"[^\x20\x09-\x0D]"
-SYMBOLS = r"[^#*$%&|<>]"
+SYMBOLS = r"[#*$%&|<>]"
 SENTENCE_MARK = r"[.!?…;:。！？؟]"
-SEPARATORS = "|»›·"
+SEPARATORS = "[|»›·]"
 BOILERPLATE = (
     r"(?i)\b(all rights reserved|copyright (\(c\)|©|[0-9]{4})|cookie (policy|settings)|accept cookies|privacy policy|terms of (use|service)|"
     r"licensed under|released under the|subscribe to our|sign up for|enable javascript|click here|lorem ipsum)\b"
 )
 
 
+#: Every boilerplate phrase holds one of these in lower case; texts without any skip the expression.
+HINTS = ("rights reserved", "copyright", "cookie", "privacy", "terms of", "licensed", "released", "subscribe", "sign up", "javascript", "click here", "lorem")
+
+
 def words_of(text: Column) -> Column:
-    return F.array_remove(F.split(F.translate(text, BLANKS, " " * len(BLANKS)), " "), "")
+    return F.array_remove(F.split(text, BLANKS), "")
 
 
 def _pairs(hashes: Column, step: int) -> Column:
     """Hash of each window of 2 * step words from the hashes of its halves."""
-    n = F.size(hashes)
-    halves = F.slice(hashes, step + 1, F.greatest(n - step, F.lit(0)))
-    both = F.zip_with(hashes, halves, lambda a, b: F.xxhash64(a, b))
-    return F.slice(both, 1, F.greatest(n - step, F.lit(0)))
+
+    def both(h: Column) -> Column:
+        n = F.greatest(F.size(h) - step, F.lit(0))
+        return F.zip_with(F.slice(h, F.lit(1), n), F.slice(h, F.lit(step + 1), n), lambda a, b: F.xxhash64(a, b))
+
+    return let(hashes, both)
 
 
 def repeated_words(windows: Column) -> Column:
@@ -60,39 +66,47 @@ def repeated_words(windows: Column) -> Column:
     return total["words"]
 
 
-def line_fails(line: Column) -> Column:
+def line_fails(line: Column, hinted: Column) -> Column:
     """A line with words that has no sentence mark, is navigation, is mostly symbols, or holds a boilerplate phrase."""
-    size = F.length(line)
-    separators = size - F.length(F.translate(line, SEPARATORS, ""))
-    symbols = size - F.length(F.translate(line, "#*$%&|<>", ""))
-    crowded = let(F.size(words_of(line)), lambda n: ((separators >= 3) & (separators * 5 >= n)) | ((symbols >= 3) & (symbols * 2 >= n)))
-    return line.rlike(A_WORD) & (~line.rlike(SENTENCE_MARK) | (((separators >= 3) | (symbols >= 3)) & crowded) | line.rlike(BOILERPLATE))
+    separators, symbols = F.regexp_count(line, F.lit(SEPARATORS)), F.regexp_count(line, F.lit(SYMBOLS))
+    crowded = let(
+        F.struct(separators.alias("a"), symbols.alias("b")),
+        lambda c: ((c["a"] >= 3) | (c["b"] >= 3))
+        & let(F.size(words_of(line)), lambda n: ((c["a"] >= 3) & (c["a"] * 5 >= n)) | ((c["b"] >= 3) & (c["b"] * 2 >= n))),
+    )
+    return line.rlike(A_WORD) & (~line.rlike(SENTENCE_MARK) | crowded | (hinted & line.rlike(BOILERPLATE)))
 
 
 def measured(docs: DataFrame, text: str = "text") -> DataFrame:
-    """The input with struct column ``_m``: counts, base verdict, the method's verdict and the kept text."""
+    """The input with struct column ``_m``: counts, words lost with failing lines, and the kept text."""
     value = F.coalesce(F.col(text), F.lit(""))
-    out = docs.withColumn("_w", words_of(value)).withColumn("_l", F.split(value, "\n", -1))
+    low = F.lower(value)
+    hinted = low.contains(HINTS[0])
+    for phrase in HINTS[1:]:
+        hinted = hinted | low.contains(phrase)
+    out = docs.withColumn("_w", words_of(value)).withColumn("_l", F.split(value, "\n", -1)).withColumn("_b", hinted)
     out = out.withColumn("_h", F.transform("_w", lambda w: F.xxhash64(w)))
-    out = out.withColumn("_h", F.when(F.size("_h") >= WINDOW, _pairs(_pairs(_pairs(F.col("_h"), 1), 2), 4)).otherwise(F.array().cast("array<bigint>")))
-    out = out.withColumn("_ok", F.filter("_l", lambda x: ~line_fails(x)))
-    out = out.withColumn("_text", F.array_join("_ok", "\n"))
+    out = out.withColumn("_h", F.when(F.size("_h") > WINDOW, _pairs(_pairs(_pairs(F.col("_h"), 1), 2), 4)).otherwise(F.array().cast("array<bigint>")))
+    out = out.withColumn("_f", F.transform("_l", lambda x: line_fails(x, F.col("_b"))))
+    failing = F.filter("_l", lambda x, i: F.get("_f", i))
+    lost = F.aggregate(failing, F.lit(0).cast("long"), lambda n, x: n + F.size(words_of(x)))
+    left = F.array_join(F.filter("_l", lambda x, i: ~F.get("_f", i)), "\n")
     spoken = F.filter("_l", lambda x: x.rlike(A_WORD))
-    n_words = F.size("_w").cast("long")
+    some = F.exists("_f", lambda x: x)
     repeat = F.when(F.size(F.array_distinct("_h")) == F.size("_h"), F.lit(0).cast("long")).otherwise(repeated_words(F.col("_h")))
     out = out.withColumn(
         "_m",
         F.struct(
-            n_words.alias("n_words"),
+            F.size("_w").cast("long").alias("n_words"),
             F.coalesce(F.length(F.array_join("_w", "")), F.lit(0)).cast("long").alias("word_chars"),
-            (F.length(value) - F.length(F.translate(value, "#*$%&|<>", ""))).cast("long").alias("n_symbols"),
-            (F.size(spoken) - F.size(F.array_distinct(spoken))).cast("long").alias("n_dup_lines"),
+            F.regexp_count(value, F.lit(SYMBOLS)).cast("long").alias("n_symbols"),
+            let(spoken, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
             repeat.alias("n_repeat_words"),
-            F.size(words_of(F.col("_text"))).cast("long").alias("n_left"),
-            F.col("_text").alias("text"),
+            (F.size("_w") - F.when(some, lost).otherwise(0)).cast("long").alias("n_left"),
+            F.when(some, left).otherwise(value).alias("text"),
         ),
     )
-    return out.drop("_w", "_l", "_h", "_ok", "_text")
+    return out.drop("_w", "_l", "_h", "_f", "_b")
 
 
 def verdicts(docs: DataFrame, text: str = "text", max_lost_percent: int = MAX_LOST_PERCENT) -> DataFrame:
