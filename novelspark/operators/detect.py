@@ -114,7 +114,7 @@ def _by_mean(docs: DataFrame, tabled: DataFrame, near: DataFrame, cfg: Config) -
     """Mean over tables of each table's smallest distance; a table without a candidate counts as 1."""
     far = tabled.join(near, ["q", "h"], "left").withColumn("d", F.round(1 - F.coalesce("similarity", F.lit(0.0)), similarity.DIGITS))
     best = far.groupBy("q", "table_no").agg(F.min(F.struct("d", "h")).alias("s"))
-    mean = best.groupBy("q").agg(F.round((F.sum("s.d") + F.lit(cfg.tables) - F.count("*")) / cfg.tables, similarity.DIGITS).alias("distance"), F.min("s").alias("m"))
+    mean = best.groupBy("q").agg(F.round((F.sum("s.d") + F.lit(cfg.tables) - F.count("*")) / cfg.tables, similarity.DIGITS + 3).alias("distance"), F.min("s").alias("m"))
     return finished(docs, mean.select("q", "distance", F.col("m.h").alias("h")))
 
 

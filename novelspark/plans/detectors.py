@@ -71,7 +71,7 @@ def scores_sql(cfg: Config, source: str = "docs", out: str = "scored") -> str:
 {p}_d AS (SELECT q, h, round(1 - greatest(-1, least(1, coalesce(dot / nullif(sqrt(u.s * v.s), 0), 0))), 6) AS distance FROM {p}_dot d JOIN {query_length} u ON u.batch_id = d.batch_id AND u.doc_id = q JOIN {p}_hl v ON v.batch_id = d.batch_id AND v.doc_id = h)"""
     if cfg.combine == "mean":
         ctes += f""", {p}_b AS (SELECT t.q, t.t, min({{'d': coalesce(round(distance, 6), 1), 'h': t.h}}) AS s FROM {p}_t t LEFT JOIN {p}_d d ON d.q = t.q AND d.h = t.h GROUP BY ALL),
-{p}_n AS (SELECT q, round((sum(s.d) + {cfg.tables} - count(*)) / {cfg.tables}, 6) AS distance, min(s).h AS h FROM {p}_b GROUP BY q)"""
+{p}_n AS (SELECT q, round((sum(s.d) + {cfg.tables} - count(*)) / {cfg.tables}, 9) AS distance, min(s).h AS h FROM {p}_b GROUP BY q)"""
     else:
         ctes += f", {p}_n AS (SELECT q, distance, h FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY distance, h) AS r FROM {p}_d) WHERE r = 1)"
     return ctes + f", {out} AS (SELECT doc_id, coalesce(distance, 1) AS distance, h AS match_id FROM (SELECT doc_id FROM {source} WHERE batch_id > 0) LEFT JOIN (SELECT * FROM {p}_n WHERE distance < 1) ON q = doc_id)"
@@ -156,7 +156,7 @@ def detect_novel_only(spark, d):
 
 
 CHAIN_SQL = f"""{BASE_SQL.replace('WITH', 'WITH RECURSIVE', 1)}, {scores_sql(Config(search='exact', history='all_seen'))}, dec AS ({DECIDED} scored),
-chain AS (SELECT doc_id, doc_id AS at FROM dec UNION ALL SELECT chain.doc_id, match_id FROM chain JOIN dec ON dec.doc_id = at WHERE match_id IS NOT NULL) SELECT doc_id, min(at) AS story FROM chain GROUP BY doc_id"""
+chain AS (SELECT doc_id, doc_id AS node FROM docs UNION ALL SELECT chain.doc_id, match_id FROM chain JOIN dec ON dec.doc_id = chain.node WHERE match_id IS NOT NULL) SELECT doc_id, min(node) AS story FROM chain GROUP BY doc_id HAVING doc_id IN (SELECT doc_id FROM dec)"""
 
 
 @query("event_chains", CHAIN_SQL)
