@@ -208,9 +208,9 @@ def met_cost(spark, d):
     return rows.withColumn("cost", F.round(metrics.cost(F.col("p_miss"), F.col("p_fa")), 6))
 
 
-CURVE = f"""at AS (SELECT distance AS threshold, count(*) FILTER (truth_id IS NULL) AS a, count(*) FILTER (truth_id IS NOT NULL) AS b FROM s GROUP BY 1),
-pts AS (SELECT threshold, coalesce(sum(a) OVER w, 0) AS missed, coalesce(sum(b) OVER w, 0) AS caught FROM at WINDOW w AS (ORDER BY threshold ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) UNION ALL SELECT 2, sum(a), sum(b) FROM at),
-tot AS (SELECT sum(a) AS na, sum(b) AS nb FROM at), curve AS (SELECT threshold, missed / na AS p_miss, 1 - caught / nb AS p_fa FROM pts, tot)"""
+CURVE = f"""dist AS (SELECT distance AS threshold, count(*) FILTER (truth_id IS NULL) AS a, count(*) FILTER (truth_id IS NOT NULL) AS b FROM s GROUP BY 1),
+pts AS (SELECT threshold, coalesce(sum(a) OVER w, 0) AS missed, coalesce(sum(b) OVER w, 0) AS caught FROM dist WINDOW w AS (ORDER BY threshold ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) UNION ALL SELECT 2, sum(a), sum(b) FROM dist),
+tot AS (SELECT sum(a) AS na, sum(b) AS nb FROM dist), curve AS (SELECT threshold, missed / na AS p_miss, 1 - caught / nb AS p_fa FROM pts, tot)"""
 
 
 @query("met_det", f"{SCORED}, {CURVE} SELECT threshold, round(p_miss, 6) AS p_miss, round(p_fa, 6) AS p_fa, round({COST.format(m='p_miss', f='p_fa')}, 6) AS cost FROM curve")
@@ -249,7 +249,7 @@ def two_best(a: str, b: str) -> str:
     parts = []
     for n, source in (("a", a), ("b", b)):
         text = f"s_{n} AS (SELECT distance, truth_id FROM {source} JOIN docs USING (doc_id)), " + CURVE.replace("FROM s ", f"FROM s_{n} ") + ", " + BEST
-        for word in ("at", "pts", "tot", "curve", "cc", "best"):
+        for word in ("dist", "pts", "tot", "curve", "cc", "best"):
             text = text.replace(f"{word} AS (", f"{word}_{n} AS (").replace(f"FROM {word} ", f"FROM {word}_{n} ").replace(f"FROM {word})", f"FROM {word}_{n})").replace(f"FROM {word},", f"FROM {word}_{n},").replace(", tot)", f", tot_{n})").replace(f", {word} WINDOW", f", {word}_{n} WINDOW")
         parts.append(text)
     return ", ".join(parts)
@@ -360,7 +360,7 @@ def exp_schemes(spark, d):
     return union_all(parts)
 
 
-@query("exp_natural", f"WITH {streams.natural_sql()}, {scores_sql(EXACT, 'natural', 'sc')}, s AS (SELECT doc_id, distance, truth_id FROM sc JOIN natural USING (doc_id)), {CURVE}, {BEST} SELECT threshold, round(p_miss, 6) AS p_miss, round(p_fa, 6) AS p_fa, round(cost, 6) AS cost FROM best")
+@query("exp_natural", f"WITH {streams.natural_sql()}, {scores_sql(EXACT, 'ndocs', 'sc')}, s AS (SELECT doc_id, distance, truth_id FROM sc JOIN ndocs USING (doc_id)), {CURVE}, {BEST} SELECT threshold, round(p_miss, 6) AS p_miss, round(p_fa, 6) AS p_fa, round(cost, 6) AS cost FROM best")
 def exp_natural(spark, d):
     """The given documents in order, truth from 5-grams: merged weights, exhaustive search."""
     docs = streams.natural(spark, d)

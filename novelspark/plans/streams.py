@@ -119,7 +119,7 @@ docs AS (SELECT doc_id, regexp_extract_all(lower(coalesce(text, '')), '\p{{L}}+'
 marked AS (SELECT doc_id, terms, truth_id, doc_id < (SELECT count(*) // 3 FROM docs) AS early FROM docs LEFT JOIN truths USING (doc_id)),
 trains AS (SELECT doc_id, terms FROM marked WHERE early AND truth_id IS NULL),
 lates AS (SELECT *, row_number() OVER (ORDER BY doc_id) - 1 AS k FROM marked WHERE NOT early),
-natural AS (SELECT doc_id, CAST(0 AS BIGINT) AS batch_id, CAST(NULL AS BIGINT) AS truth_id, terms FROM trains
+ndocs AS (SELECT doc_id, CAST(0 AS BIGINT) AS batch_id, CAST(NULL AS BIGINT) AS truth_id, terms FROM trains
   UNION ALL SELECT doc_id, k // {batch} + 1, CASE WHEN truth_id IN (SELECT doc_id FROM trains) THEN truth_id END, terms FROM lates)"""
 
 
