@@ -12,7 +12,8 @@ of the other; so their *prefixes* of n - ceil(t n) + k tokens share at least k t
 The class comes from a counter sketch over all documents of a fixed number of counters. It can only overestimate, so a rare token's
 list of documents is short for certain, and any class boundary gives right results.
 
-Candidates are verified on the texts. No list of an index is ever expanded into all its pairs: equal sets are one representative from the
+Candidates first meet a bound: every set has a bitmap of the parities of its hashed tokens, about a bit a token, and two sets differ in
+at least as many tokens as their bitmaps differ in bits. What is left is verified on the texts. No list of an index is ever expanded into all its pairs: equal sets are one representative from the
 start; each list first pairs its members with its first one; members of one component need no more comparison, so only lists
 that still span several components pair the members outside the most common component with the others.
 
@@ -112,30 +113,48 @@ def signatures(tokens: np.ndarray, klass: np.ndarray, percent: int = PERCENT) ->
     return np.concatenate([ranked[:rare], combos]), np.concatenate([np.arange(rare), np.zeros(len(combos), dtype=np.int64)])
 
 
+def parity_bits(tokens: np.ndarray) -> bytes:
+    """Parities of the tokens that fall on each of about as many bits as there are tokens (a power of two, 64 at least)."""
+    width = max(64, 1 << (len(tokens) - 1).bit_length()) if len(tokens) else 64
+    at = (tokens & np.uint64(width - 1)).astype(np.int64)
+    return np.packbits((np.bincount(at, minlength=width) & 1).astype(np.uint8)).tobytes()
+
+
+def fewest_differences(a: bytes, b: bytes) -> int:
+    """A lower bound of the tokens in which two sets differ; the longer bitmap is folded to the shorter one's width."""
+    x, y = np.frombuffer(a, dtype=np.uint8), np.frombuffer(b, dtype=np.uint8)
+    while len(x) > len(y):
+        x = x[: len(x) // 2] ^ x[len(x) // 2 :]
+    while len(y) > len(x):
+        y = y[: len(y) // 2] ^ y[len(y) // 2 :]
+    return int(np.bitwise_count(x ^ y).sum())
+
+
 # ---- passes over the texts -------------------------------------------------------------------------------------------------
 
 
 def _digests(docs: DataFrame, size: int, bits: int) -> DataFrame:
-    """(kind, id, n, a, b, part, counts): a row a document with a 128-bit digest of its set, and each task's counters in parts."""
+    """(kind, id, n, a, b, bits, part, counts): a row a document with a 128-bit digest and the bitmap of its set, and each task's counters in parts."""
     parts = 64
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(1 << bits, dtype=np.uint32)
-        names = ["kind", "id", "n", "a", "b", "part", "counts"]
+        names = ["kind", "id", "n", "a", "b", "bits", "part", "counts"]
         for batch in batches:
-            ns, a, b, pending = [], [], [], []
+            ns, a, b, bitmaps, pending = [], [], [], [], []
             for text in batch.column(1).to_pylist():
                 s = shingles(text, size)
                 ns.append(len(s))
                 a.append(int(np.bitwise_xor.reduce(s)) if len(s) else 0)
                 b.append(int(np.sum(_mixed(s + np.uint64(1)), dtype=np.uint64)) if len(s) else 0)
+                bitmaps.append(parity_bits(s))
                 pending.append(s)
             at = (np.concatenate(pending) >> np.uint64(64 - bits)).astype(np.int64) if pending else np.zeros(0, dtype=np.int64)
             counts += np.bincount(at, minlength=1 << bits).astype(np.uint32)
             rows = len(ns)
             signed = lambda x: pa.array(np.array(x, dtype=np.uint64).view(np.int64))
             yield pa.RecordBatch.from_arrays(
-                [pa.array([0] * rows, pa.int32()), batch.column(0), pa.array(ns, pa.int64()), signed(a), signed(b), pa.nulls(rows, pa.int32()), pa.nulls(rows, pa.binary())], names=names
+                [pa.array([0] * rows, pa.int32()), batch.column(0), pa.array(ns, pa.int64()), signed(a), signed(b), pa.array(bitmaps, pa.binary()), pa.nulls(rows, pa.int32()), pa.nulls(rows, pa.binary())], names=names
             )
         if not counts.any():
             return
@@ -145,9 +164,9 @@ def _digests(docs: DataFrame, size: int, bits: int) -> DataFrame:
             # few counters in use: their places and values; else all of them
             pieces.append(b"s" + at.astype("<u2").tobytes() + piece[at].tobytes() if len(at) * 4 < piece.nbytes else b"d" + piece.tobytes())
         none = pa.nulls(parts, pa.int64())
-        yield pa.RecordBatch.from_arrays([pa.array([1] * parts, pa.int32()), none, none, none, none, pa.array(range(parts), pa.int32()), pa.array(pieces, pa.binary())], names=names)
+        yield pa.RecordBatch.from_arrays([pa.array([1] * parts, pa.int32()), none, none, none, none, pa.nulls(parts, pa.binary()), pa.array(range(parts), pa.int32()), pa.array(pieces, pa.binary())], names=names)
 
-    return docs.mapInArrow(run, "kind int, id long, n long, a long, b long, part int, counts binary")
+    return docs.mapInArrow(run, "kind int, id long, n long, a long, b long, bits binary, part int, counts binary")
 
 
 def _merged_sketch(pieces: DataFrame, bits: int) -> np.ndarray:
@@ -262,6 +281,20 @@ def _possible(n: str, m: str, pos: str = "", other: str = "", percent: int = PER
     return fits
 
 
+def bounded(pairs: DataFrame, bitmaps: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) whose bitmaps (id, n, bits) leave the threshold possible."""
+    x, y = (bitmaps.select(F.col("id").alias(c), F.col("n").alias(f"n{c}"), F.col("bits").alias(f"bits{c}")) for c in "ab")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            cols = [batch.column(i).to_pylist() for i in range(6)]
+            keep = [fewest_differences(p, q) * (100 + percent) <= (n + m) * (100 - percent) for _, _, n, p, m, q in zip(*cols, strict=True)]
+            chosen = np.flatnonzero(keep)
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(chosen)), batch.column(1).take(pa.array(chosen))], names=["a", "b"])
+
+    return pairs.join(x, "a").join(y, "b").select("a", "b", "na", "bitsa", "nb", "bitsb").mapInArrow(run, "a long, b long")
+
+
 def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int, scratch: Scratch, name: str) -> DataFrame:
     """Pairs (a, b) that link, by their texts. Each pair moves one text; a much-paired document is copied for each block of partners."""
     pairs = scratch.write(pairs.select("a", "b"), f"{name}-pairs")
@@ -324,18 +357,20 @@ def join(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = S
     plain = docs.filter(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
     rows = scratch.write(_digests(plain, size, bits), "digests")
     klass = spark.sparkContext.broadcast(classes(_merged_sketch(rows.filter("kind = 1").select("part", "counts"), bits)))
-    sets = rows.filter("kind = 0").select("id", "n", "a", "b")
+    sets = rows.filter("kind = 0").select("id", "n", "a", "b", "bits")
     # one row an id; equal sets have one representative, the smallest id
-    one = sets.groupBy("id").agg(F.min(F.struct("n", "a", "b")).alias("s")).select("id", "s.n", "s.a", "s.b")
+    one = sets.groupBy("id").agg(F.min(F.struct("n", "a", "b", "bits")).alias("s")).select("id", "s.n", "s.a", "s.b", "s.bits")
     heads = one.filter("n > 0").groupBy("n", "a", "b").agg(F.min("id").alias("rep"), F.count("*").alias("copies"))
-    member = scratch.write(one.join(heads, ["n", "a", "b"], "left").select("id", "n", F.coalesce("rep", "id").alias("rep"), F.coalesce("copies", F.lit(1)).alias("copies")), "members")
+    member = scratch.write(one.join(heads, ["n", "a", "b"], "left").select("id", "n", "bits", F.coalesce("rep", "id").alias("rep"), F.coalesce("copies", F.lit(1)).alias("copies")), "members")
+    scratch.drop("digests")
+    bitmaps = member.filter("id = rep").select("id", "n", "bits")
     # texts of repeated sets but for their representative need no index
     spare = member.filter("rep <> id").select("id")
     few = spare.count() <= BROADCAST_ROWS
     reps = plain.join(F.broadcast(spare) if few else spare, "id", "left_anti")
     lists = scratch.write(_lists(_index(reps, klass, size, percent, bits)), "lists")
     star = lists.filter((F.col("head") != F.col("id")) & _possible("n", "head_n", "pos", "head_pos", percent)).select(F.col("head").alias("a"), F.col("id").alias("b")).distinct()
-    links = verified(star, reps, size, percent, scratch, "star")
+    links = verified(bounded(star, bitmaps, percent), reps, size, percent, scratch, "star")
     first = components(links, scratch, "first")
     # lists that still span several components
     placed = lists.select("sig", "id", "n", "pos").join(first, "id", "left").withColumn("comp", F.coalesce("comp", "id"))
@@ -348,7 +383,8 @@ def join(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = S
         (F.col("xc") != F.col("comp")) & ((F.col("comp") == F.col("main")) | (F.col("x") < F.col("id"))) & _possible("n", "xn", "pos", "xp", percent)
     )
     rest = cross.select(F.least("x", "id").alias("a"), F.greatest("x", "id").alias("b")).distinct()
-    late = verified(rest, reps, size, percent, scratch, "rest")
+    late = verified(bounded(rest, bitmaps, percent), reps, size, percent, scratch, "rest")
+    scratch.drop("lists", "placed", "wide")
     all_links = links.union(late)
     comp = components(all_links, scratch, "last")
     out = member.join(comp.withColumnRenamed("id", "rep"), "rep", "left").select("id", "n", F.coalesce("comp", "rep").alias("component_id"))
@@ -357,7 +393,7 @@ def join(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = S
 
 
 def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents but for those linked with one of a smaller id; rows without an id stay; of rows that repeat an id one stays."""
+    """The documents but for those linked with one of a smaller id; rows without an id stay; rows that repeat an id stay or go together."""
     spare = join(docs, key, text).filter(F.col(key) != F.col("component_id")).select(key)
     few = spare.count() <= BROADCAST_ROWS
     left = docs.join(F.broadcast(spare) if few else spare, key, "left_anti")

@@ -175,3 +175,11 @@ def test_pipeline(spark, sf):
     assert {r.doc_id for r in rows} == left and "pii" in pii.__name__
     for _, stage in p.STAGES[:-1]:
         assert stage(spark, docs, sf).columns == columns
+
+
+def test_bitmaps_bound_differences():
+    r = np.random.RandomState(3)
+    for _ in range(200):
+        pool = np.unique(r.randint(0, 1 << 62, 900).astype(np.uint64))
+        a, b = (np.sort(r.choice(pool, int(r.randint(1, 800)), replace=False)) for _ in range(2))
+        assert jaccard.fewest_differences(jaccard.parity_bits(a), jaccard.parity_bits(b)) <= len(np.setxor1d(a, b))
