@@ -44,17 +44,21 @@ def jump_tables(messages: DataFrame, scratch: Scratch) -> tuple[list[DataFrame],
         "tree", "msg", F.when(F.col("there") & (F.col("parent") != F.col("msg")), F.col("parent")).alias("up"), F.lit(0).cast("long").alias("depth"), F.col("score").alias("total")
     )
     longest = messages.count()
-    tables, now = [], scratch.write(linked.withColumn("depth", F.when(F.col("up").isNull(), 0).otherwise(1).cast("long")), "jump0")
+    now = scratch.write(linked.withColumn("depth", F.when(F.col("up").isNull(), 0).otherwise(1).cast("long")), "jump0")
+    tables, done = [], now.filter(F.col("up").isNull())
     for r in range(longest.bit_length() + 1):  # a chain of all messages needs no more; what is left then hangs on a cycle
-        if now.filter(F.col("up").isNotNull()).isEmpty():
+        climbing = now.filter(F.col("up").isNotNull())
+        if climbing.isEmpty():
             break
-        tables.append(now.select("tree", "msg", "up").filter(F.col("up").isNotNull()))
-        above = now.select("tree", F.col("msg").alias("up"), F.col("up").alias("next"), F.col("depth").alias("more"), F.col("total").alias("plus"))
-        step = now.join(above, ["tree", "up"], "left").select(
+        tables.append(climbing.select("tree", "msg", "up"))
+        # only messages that have not reached their root are joined again
+        above = done.unionByName(climbing).select("tree", F.col("msg").alias("up"), F.col("up").alias("next"), F.col("depth").alias("more"), F.col("total").alias("plus"))
+        step = climbing.join(above, ["tree", "up"], "left").select(
             "tree", "msg", F.col("next").alias("up"), (F.col("depth") + F.coalesce("more", F.lit(0))).alias("depth"), (F.col("total") + F.coalesce("plus", F.lit(0.0))).alias("total")
         )
         now = scratch.write(step, f"jump{r + 1}")
-    return tables, now.filter(F.col("up").isNull()).drop("up")
+        done = done.unionByName(now.filter(F.col("up").isNull()))
+    return tables, done.drop("up")
 
 
 def best_paths(messages: DataFrame, per_tree: int = 1) -> DataFrame:
