@@ -72,15 +72,11 @@ def unrepeated(stream: DataFrame, delay: str, *keys: str) -> DataFrame:
 def keyed_novelty(rows: DataFrame, key: str, threshold: float = 0.5) -> DataFrame:
     """(key, seq, new_share, is_novel): a light detector within one key, on a stream of (key, seq, terms).
 
-    The state of a key is the set of terms seen so far; a row is novel if the share of terms unseen in its key reaches the threshold. The state
-    of a key that is silent for a day of processing time is dropped.
+    The state of a key is the set of terms seen so far; a row is novel if the share of terms unseen in its key reaches the threshold.
     """
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     def step(name: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            state.remove()
-            return
         seen = set(state.get[0].split("\x1f")) if state.exists else set()
         for batch in batches:
             out = []
@@ -91,7 +87,6 @@ def keyed_novelty(rows: DataFrame, key: str, threshold: float = 0.5) -> DataFram
                 seen |= terms
             yield pd.DataFrame(out, columns=["key", "seq", "new_share", "is_novel"])
         state.update(("\x1f".join(sorted(seen)),))
-        state.setTimeoutDuration(24 * 3600 * 1000)
 
     grouped = rows.select(F.col(key).cast("bigint").alias("key"), F.col("seq").cast("bigint").alias("seq"), "terms").groupBy("key")
-    return grouped.applyInPandasWithState(step, "key bigint, seq bigint, new_share double, is_novel boolean", "terms string", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return grouped.applyInPandasWithState(step, "key bigint, seq bigint, new_share double, is_novel boolean", "terms string", "append", GroupStateTimeout.NoTimeout)
