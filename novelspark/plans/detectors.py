@@ -347,7 +347,7 @@ def best_sql(name: str, cfg: Config, base: str, extra: str) -> str:
     return f"(WITH {base}, {scores_sql(cfg, out='sc')}, s AS (SELECT doc_id, distance, truth_id FROM sc JOIN docs USING (doc_id)), {CURVE}, {BEST} SELECT {extra} threshold, round(p_miss, 6) AS p_miss, round(p_fa, 6) AS p_fa, round(cost, 6) AS cost FROM best)"
 
 
-CELLS = [(0.2, 1), (0.2, 4), (0.3, 1), (0.3, 14)]
+CELLS = [(0.2, 1), (0.3, 14)]
 
 
 @query("exp_schemes", " UNION ALL ".join(best_sql(n, c, streams.constructed_sql(k, b), f"'{n}' AS scheme, {k}::DOUBLE AS keep, {b} AS burst,") for n, c in SCHEMES.items() for k, b in CELLS))
