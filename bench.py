@@ -13,7 +13,7 @@ os.environ["PYTHONPATH"] = os.pathsep.join(x for x in (ROOT, os.environ.get("PYT
 
 #: The paper's set-up: 500 training snippets, each its own event, and 1,000 test snippets.
 TRAIN, TEST, BATCH = 500, 1000, 250
-NAMES = ["vsm_weights", "model_merged", "nn_exact", "lsh_signatures", "lsh_multi", "detect_static_lsh", "detect_incremental_lsh", "detect_incremental_exact", "met_det", "join_salted", "win_session"]
+NAMES = ["vsm_weights", "model_merged", "lsh_signatures", "lsh_multi", "join_salted", "win_session"]
 
 
 def main() -> None:
