@@ -39,7 +39,6 @@ THRESHOLD, SUPPORT = 0.5, 3
 BROADCAST_ROWS = 200_000
 TERM = r"\p{L}{3,}"
 GENERAL = {"email": "[EMAIL]", "ip": "[IP]", "card": "[CARD]", "phone": "[PHONE]", "term": "[TERM]"}
-ZERO = F.lit(0)
 
 
 def _digits(value: Column) -> Column:
@@ -54,13 +53,13 @@ def _luhn(value: Column) -> Column:
         places = F.sequence(F.lit(0), n - 1)
         digit = lambda i: F.substr(d, n - i, F.lit(1)).cast("int")
         worth = lambda i: F.when(i % 2 == 0, digit(i)).otherwise(F.when(digit(i) > 4, digit(i) * 2 - 9).otherwise(digit(i) * 2))
-        return n.between(14, 19) & (F.aggregate(F.when(n.between(14, 19), places).otherwise(F.array().cast("array<int>")), ZERO, lambda s, i: s + worth(i)) % 10 == 0)
+        return n.between(14, 19) & (F.aggregate(F.when(n.between(14, 19), places).otherwise(F.array().cast("array<int>")), F.lit(0), lambda s, i: s + worth(i)) % 10 == 0)
 
     return let(_digits(value), holds)
 
 
 def _ip(value: Column) -> Column:
-    return F.forall(F.split(value, r"\."), lambda p: let(F.ltrim(p, F.lit("0")), lambda q: (F.length(q) <= 3) & (F.coalesce(q.try_cast("int"), ZERO) <= 255)))
+    return F.forall(F.split(value, r"\."), lambda p: let(F.ltrim(p, F.lit("0")), lambda q: (F.length(q) <= 3) & (F.coalesce(q.try_cast("int"), F.lit(0)) <= 255)))
 
 
 def _phone(value: Column) -> Column:
@@ -143,19 +142,26 @@ def disclosing_terms(docs: DataFrame, near: DataFrame, text: str = "text", thres
     disclosure = PMI(term; value) / IC(value), from corpus counts: 1 if the word is never seen apart from the identifier.
     """
     pairs = near.groupBy("value", "term", "window").agg(F.lit(1).alias("one")).groupBy("value", "term").agg(F.count("*").alias("together")).filter(F.col("together") >= support)
-    pairs = Scratch(docs.sparkSession, "pairs").write(pairs, "pairs")
+    total = docs.agg(F.count("*").alias("n"))
     values = near.groupBy("value", "window").agg(F.lit(1).alias("one")).groupBy("value").agg(F.count("*").alias("seen"))
+    # a word is in all the documents that hold it near some identifier; words that are too common by that alone need no count
+    local = near.select("term", "row").distinct().groupBy("term").agg(F.count("*").alias("documents"))
+    pairs = pairs.join(local, "term").join(values, "value").join(F.broadcast(total)).filter(_disclosure() >= threshold).select("value", "term", "together", "seen")
+    pairs = Scratch(docs.sparkSession, "pairs").write(pairs, "pairs")
     asked = pairs.select("term").distinct()
     few = asked.count() <= BROADCAST_ROWS
     words = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce(F.col(text), F.lit(""))), F.lit(r"\p{L}++"), F.lit(0)))).alias("term"))
     counts = words.join(F.broadcast(asked) if few else asked, "term", "left_semi").groupBy("term").agg(F.count("*").alias("documents"))
-    total = docs.agg(F.count("*").alias("n"))
-    # a word is not seen in fewer places than next to the identifier
-    often = F.greatest("documents", "together")
+    scored = pairs.join(counts, "term").join(F.broadcast(total))
+    return scored.select("value", "term", _disclosure().alias("disclosure")).filter(F.col("disclosure") >= threshold)
+
+
+def _disclosure() -> Column:
+    """PMI over information content from columns n, together, seen and documents; it falls as ``documents`` grows."""
+    often = F.greatest("documents", "together")  # a word is not seen in fewer places than next to the identifier
     information = F.log(F.col("n") / F.least("seen", "n"))
     pmi = F.log(F.col("n") * F.col("together") / (often * F.col("seen")))
-    scored = pairs.join(values, "value").join(counts, "term").join(F.broadcast(total))
-    return scored.select("value", "term", F.try_divide(pmi, information).alias("disclosure")).filter(F.col("disclosure") >= threshold)
+    return F.try_divide(pmi, information)
 
 
 def sanitise_spans(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD, support: int = SUPPORT) -> tuple[DataFrame, DataFrame]:
@@ -187,7 +193,8 @@ def with_spans(rows: DataFrame, thin: DataFrame, terms: DataFrame) -> DataFrame:
     rank = lambda s: s["start"] * 8 + F.array_position(order, s["kind"])
     sooner = lambda a, b: F.when(rank(a) < rank(b), -1).when(rank(a) > rank(b), 1).otherwise(0)
     found = found.select("row", "base", F.array_sort(F.concat("base", extra), sooner).alias("spans"))
-    return rows.join(found, "row", "left").withColumn("base", F.coalesce("base", none)).withColumn("spans", F.coalesce("spans", none))
+    few = thin.count() <= BROADCAST_ROWS  # then a group of equal texts stays where its rows are
+    return rows.join(F.broadcast(found) if few else found, "row", "left").withColumn("base", F.coalesce("base", none)).withColumn("spans", F.coalesce("spans", none))
 
 
 def replaced(text: Column, spans: Column) -> Column:
