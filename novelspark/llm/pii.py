@@ -1,14 +1,17 @@
 """Information-theoretic sanitisation of personal data (operator 1, native).
 
 Four kinds of identifiers are found by their patterns and checks. The method then asks which *other* words give such an
-identifier away: over all documents it counts how often a word stands near an identifier and how often it occurs at all. A word
+identifier away: over all texts it counts in how many a word stands near an identifier and in how many it occurs at all. A word
 whose pointwise mutual information with an identifier reaches a share ``threshold`` of the identifier's own information content
 discloses it, and its occurrences near that identifier become spans too (kind ``term``). Sanitised texts put the kind's general
 name in place of each span.
 
-Counting is linear in the input: a word is near if it is among ``NEAR_WORDS`` words within ``NEAR_CHARS`` characters on
-either side. Windows with equal words count once, so copies of one document prove nothing; at least ``support`` different windows
-must hold the pair.
+Every pair is scored, also one seen once: most identifiers stand in one text only. Chance is held off by the word's frequency in
+the corpus: the pair's evidence (the number of texts times the mutual information of "holds the word" and "holds the
+identifier", in nats) must reach the logarithm of the number of words scored with that identifier. Equal texts count once, so
+copies of one document prove nothing.
+
+A word is near if it is among ``NEAR_WORDS`` words within ``NEAR_CHARS`` characters on either side.
 
 Defined cases: null texts are empty; repeated rows get the same result each; a null ``doc_id`` is a value like others; an empty
 table gives no rows. Offsets are in code points, ends exclusive.
@@ -19,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, documents, let, prefix_sums
+from .common import Scratch, documents, let, prefix_sums, text_of
 
 KINDS = ("email", "ip", "card", "phone")
 #: Expressions of the base with possessive repeats where these change no match, so that long runs cost no stack; and for
@@ -34,7 +37,7 @@ PATTERNS = {
 #: What a text must hold before the pattern is tried at all.
 HINTS = {"email": "@", "phone": "+"}
 NEAR_WORDS, NEAR_CHARS = 6, 200
-THRESHOLD, SUPPORT = 0.5, 3
+THRESHOLD = 0.5
 #: Pairs of flagged words up to this number are broadcast; more are joined by shuffle.
 BROADCAST_ROWS = 200_000
 TERM = r"\p{L}{3,}"
@@ -123,53 +126,71 @@ def _near(side: Column, left: bool) -> Column:
 
 
 def near_terms(rows: DataFrame) -> DataFrame:
-    """(row, value, term, window, start, end) from rows of (row, spans)."""
-    one = rows.filter(F.size("spans") > 0).select("row", F.explode("spans").alias("s"))
+    """(row, value, term, start, end) from rows of (row, spans)."""
+    one = rows.select("row", F.explode("spans").alias("s"))
     side = one.select("row", "s", _near(F.col("s.left"), True).alias("l"), _near(F.col("s.right"), False).alias("r"))
     begin = F.col("s.start") - F.length("s.left")
     placed = F.concat(
         F.transform("l", lambda p: F.struct(F.lower(p["w"]).alias("term"), (begin + p["at"]).alias("start"), F.length(p["w"]).alias("n"))),
         F.transform("r", lambda p: F.struct(F.lower(p["w"]).alias("term"), (F.col("s.end") + p["at"]).alias("start"), F.length(p["w"]).alias("n"))),
     )
-    window = F.xxhash64(F.transform("l", lambda p: F.lower(p["w"])), F.transform("r", lambda p: F.lower(p["w"])))
-    out = side.select("row", F.col("s.value").alias("value"), window.alias("window"), F.explode(placed).alias("p"))
-    return out.select("row", "value", "window", "p.term", "p.start", (F.col("p.start") + F.col("p.n")).alias("end"))
+    out = side.select("row", F.col("s.value").alias("value"), F.explode(placed).alias("p"))
+    return out.select("row", "value", "p.term", "p.start", (F.col("p.start") + F.col("p.n")).alias("end"))
+
+
+def distinct_texts(docs: DataFrame, text: str = "text") -> DataFrame:
+    """(row, text): each text once. Only texts that have a copy are shuffled."""
+    rows = docs.select(row_key(text).alias("row"), text_of(text).alias("text"))
+    copied = Scratch(docs.sparkSession, "copied").write(rows.groupBy("row").agg(F.count("*").alias("c")).filter("c > 1").select("row"), "rows")
+    few = F.broadcast(copied) if copied.count() <= BROADCAST_ROWS else copied
+    return rows.join(few, "row", "left_anti").unionByName(rows.join(few, "row", "left_semi").distinct())
+
+
+def _words(text: Column) -> Column:
+    """The different words of a text, lower-cased."""
+    return F.array_distinct(F.transform(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)), F.lower))
 
 
-def disclosing_terms(docs: DataFrame, near: DataFrame, text: str = "text", threshold: float = THRESHOLD, support: int = SUPPORT) -> DataFrame:
-    """(value, term, disclosure) of words that give an identifier away.
+def word_counts(texts: DataFrame) -> DataFrame:
+    """(term, documents): the texts that hold a word."""
+    return texts.select(F.explode(_words(F.col("text"))).alias("term")).groupBy("term").agg(F.count("*").alias("documents"))
+
+
+def disclosing_terms(pairs: DataFrame, counts: DataFrame, total: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """(value, term, disclosure) of words that give an identifier away, from all (value, seen, term, together).
 
     disclosure = PMI(term; value) / IC(value), from corpus counts: 1 if the word is never seen apart from the identifier.
     """
-    pairs = near.groupBy("value", "term", "window").agg(F.lit(1).alias("one")).groupBy("value", "term").agg(F.count("*").alias("together")).filter(F.col("together") >= support)
-    total = docs.agg(F.count("*").alias("n"))
-    values = near.groupBy("value", "window").agg(F.lit(1).alias("one")).groupBy("value").agg(F.count("*").alias("seen"))
-    # a word is in all the documents that hold it near some identifier; words that are too common by that alone need no count
-    local = near.select("term", "row").distinct().groupBy("term").agg(F.count("*").alias("documents"))
-    pairs = pairs.join(local, "term").join(values, "value").join(F.broadcast(total)).filter(_disclosure() >= threshold).select("value", "term", "together", "seen")
-    pairs = Scratch(docs.sparkSession, "pairs").write(pairs, "pairs")
-    asked = pairs.select("term").distinct()
-    few = asked.count() <= BROADCAST_ROWS
-    words = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce(F.col(text), F.lit(""))), F.lit(r"\p{L}++"), F.lit(0)))).alias("term"))
-    counts = words.join(F.broadcast(asked) if few else asked, "term", "left_semi").groupBy("term").agg(F.count("*").alias("documents"))
-    scored = pairs.join(counts, "term").join(F.broadcast(total))
-    return scored.select("value", "term", _disclosure().alias("disclosure")).filter(F.col("disclosure") >= threshold)
+    tried = pairs.groupBy("value").agg(F.count("*").alias("tried"))
+    scored = pairs.join(counts, "term").join(tried, "value").join(F.broadcast(total)).withColumn("disclosure", _disclosure())
+    return scored.filter((F.col("disclosure") >= threshold) & (_evidence() >= F.log("tried"))).select("value", "term", "disclosure")
 
 
 def _disclosure() -> Column:
     """PMI over information content from columns n, together, seen and documents; it falls as ``documents`` grows."""
-    often = F.greatest("documents", "together")  # a word is not seen in fewer places than next to the identifier
-    information = F.log(F.col("n") / F.least("seen", "n"))
-    pmi = F.log(F.col("n") * F.col("together") / (often * F.col("seen")))
+    information = F.log(F.col("n") / F.col("seen"))
+    pmi = F.log(F.col("n") * F.col("together") / (F.col("documents") * F.col("seen")))
     return F.try_divide(pmi, information)
 
 
-def sanitise_spans(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD, support: int = SUPPORT) -> tuple[DataFrame, DataFrame]:
+def _evidence() -> Column:
+    """n times the mutual information of the word's and the identifier's presence, in nats."""
+    xlogx = lambda c: F.when(c > 0, c * F.log(c)).otherwise(0.0)
+    n, seen, often, both = (F.col(c) for c in ("n", "seen", "documents", "together"))
+    cells = xlogx(both) + xlogx(seen - both) + xlogx(often - both) + xlogx(n - seen - often + both)
+    return cells - xlogx(seen) - xlogx(n - seen) - xlogx(often) - xlogx(n - often) + xlogx(n)
+
+
+def sanitise_spans(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD) -> tuple[DataFrame, DataFrame]:
     """Tables (row, base) and (row, terms): spans of each text that has any, under the row key of ``row_key``."""
     scratch = Scratch(docs.sparkSession, "spans")
-    base = scratch.write(base_spans(docs.select(row_key(text).alias("row"), F.col(text).alias("text"))).filter(F.size("spans") > 0).drop("text").dropDuplicates(["row"]), "base")
+    texts = distinct_texts(docs, text)
+    found = base_spans(texts).filter(F.size("spans") > 0)
+    base = scratch.write(found.select("row", "spans"), "base")
     near = near_terms(base)
-    flagged = scratch.write(disclosing_terms(docs, near, text, threshold, support), "flagged")
+    seen = base.select("row", F.explode(F.array_distinct(F.transform("spans", lambda s: s["value"]))).alias("value")).groupBy("value").agg(F.count("*").alias("seen"))
+    pairs = near.select("row", "value", "term").distinct().groupBy("value", "term").agg(F.count("*").alias("together")).join(seen, "value")
+    flagged = scratch.write(disclosing_terms(pairs, word_counts(texts), texts.agg(F.count("*").alias("n")), threshold), "flagged")
     few = flagged.count() <= BROADCAST_ROWS
     hits = near.join(F.broadcast(flagged) if few else flagged, ["value", "term"])
     terms = hits.groupBy("row").agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias("terms"))
@@ -211,10 +232,10 @@ def replaced(text: Column, spans: Column) -> Column:
     return F.when(F.size(spans) == 0, text).otherwise(let(whole, lambda w: F.concat(F.array_join(w["parts"], ""), F.substr(text, (w["at"] + 1).cast("int"), F.length(text)))))
 
 
-def sanitise(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD, support: int = SUPPORT) -> DataFrame:
+def sanitise(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
     """The documents with sanitised texts, in the columns they came with; ``n_chars`` is the new text's length."""
     own = docs.columns
-    thin, terms = sanitise_spans(docs, text, threshold, support)
+    thin, terms = sanitise_spans(docs, text, threshold)
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in own]).alias("doc"), row_key(text).alias("row"))
     found = with_spans(thin.select("row"), thin, terms).select("row", "spans")
     # most texts have no span: the few rows of spans go to the texts, not the texts to the spans

@@ -149,3 +149,12 @@ def test_personal_data_query(spark, sf):
     texts = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
     for r in pii.op1_disclosure_sanitiser(spark, sf).collect():
         assert r.base_sha256 == hashlib.sha256(pii_brute(texts[r.doc_id]).encode()).hexdigest()
+
+
+def test_word_beside_an_identifier_seen_once(spark):
+    """A rare word that stands only beside an identifier of one text discloses it; a common word does not."""
+    texts = ["Vexley writes from vx@mail.org today"] + [f"somebody writes from home today and stays {'in' if i % 2 else 'out'} {'a' * (3 + i)}" for i in range(40)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.text for r in pii.sanitise(df).collect()}
+    assert got.pop(0) == "[TERM] writes from [EMAIL] today"
+    assert all(got[i] == texts[i] for i in got)
