@@ -1,17 +1,16 @@
 """Information-theoretic sanitisation of personal data (operator 1, native).
 
 Four kinds of identifiers are found by their patterns and checks. The method then asks which *other* words give such an
-identifier away: over all texts it counts in how many a word stands near an identifier and in how many it occurs at all. A word
+identifier away: over all texts it counts in how many a word stands together with an identifier and in how many it occurs at all. A word
 whose pointwise mutual information with an identifier reaches a share ``threshold`` of the identifier's own information content
-discloses it, and its occurrences near that identifier become spans too (kind ``term``). Sanitised texts put the kind's general
-name in place of each span.
+discloses it, and all its occurrences in texts that hold the identifier become spans too (kind ``term``). Sanitised texts put the
+kind's general name in place of each span.
 
 Every pair is scored, also one seen once: most identifiers stand in one text only. Chance is held off by the word's frequency in
 the corpus: the pair's evidence (the number of texts times the mutual information of "holds the word" and "holds the
 identifier", in nats) must reach the logarithm of the number of words scored with that identifier. Equal texts count once, so
-copies of one document prove nothing.
-
-A word is near if it is among ``NEAR_WORDS`` words within ``NEAR_CHARS`` characters on either side.
+copies of one document prove nothing. Identifiers that stand in the same texts have the same counts and are scored as one, so a
+long list of them makes no pairs of its own. A word inside an identifier is part of it: it is neither counted nor replaced.
 
 Defined cases: null texts are empty; repeated rows get the same result each; a null ``doc_id`` is a value like others; an empty
 table gives no rows. Offsets are in code points, ends exclusive.
@@ -36,7 +35,6 @@ PATTERNS = {
 }
 #: What a text must hold before the pattern is tried at all.
 HINTS = {"email": "@", "phone": "+"}
-NEAR_WORDS, NEAR_CHARS = 6, 200
 THRESHOLD = 0.5
 #: Pairs of flagged words up to this number are broadcast; more are joined by shuffle.
 BROADCAST_ROWS = 200_000
@@ -73,9 +71,9 @@ CHECKS = {"email": lambda v: F.lit(True), "ip": _ip, "card": _luhn, "phone": _ph
 
 
 def _found(text: Column, kind: str) -> Column:
-    """Array of (start, end, kind, value, left, right) of one kind's matches that pass its check."""
+    """Array of (start, end, kind, value) of one kind's matches that pass its check."""
     pattern = PATTERNS[kind]
-    empty = F.array().cast("array<struct<start:bigint,end:bigint,kind:string,value:string,left:string,right:string>>")
+    empty = F.array().cast("array<struct<start:bigint,end:bigint,kind:string,value:string>>")
     hint = text.contains(HINTS[kind]) if kind in HINTS else text.rlike("[0-9]")
 
     def spans(both: Column) -> Column:
@@ -87,10 +85,7 @@ def _found(text: Column, kind: str) -> Column:
                 hits,
                 lambda h, i: let(
                     F.get(before, i) + F.length(F.get(gaps, i)),
-                    lambda a: F.struct(
-                        a.cast("long").alias("start"), (a + F.length(h)).cast("long").alias("end"), F.lit(kind).alias("kind"), h.alias("value"),
-                        F.right(F.get(gaps, i), F.lit(NEAR_CHARS)).alias("left"), F.left(F.get(gaps, i + 1), F.lit(NEAR_CHARS)).alias("right"),
-                    ),
+                    lambda a: F.struct(a.cast("long").alias("start"), (a + F.length(h)).cast("long").alias("end"), F.lit(kind).alias("kind"), h.alias("value")),
                 ),
             )
 
@@ -113,31 +108,6 @@ def base_spans(docs: DataFrame, text: str = "text") -> DataFrame:
     return docs.withColumn("spans", F.array_sort(F.flatten(F.array(*[_found(body, k) for k in KINDS])), sooner))
 
 
-def _near(side: Column, left: bool) -> Column:
-    """Words of three letters or more among the nearest on one side, lower-cased, with offsets in that side."""
-
-    def words(pieces: Column) -> Column:
-        return let(prefix_sums(F.transform(pieces, lambda p: (F.length(p)).cast("long"))), lambda at: F.transform(pieces, lambda p, i: F.struct(p.alias("w"), F.get(at, i).alias("at"))))
-
-    # letters and other runs alternate, so their lengths add up to offsets
-    runs = F.regexp_extract_all(side, F.lit(r"\p{L}++|[^\p{L}]++"), F.lit(0))
-    kept = F.filter(let(runs, words), lambda p: p["w"].rlike(rf"^{TERM}$"))
-    return F.slice(kept, F.greatest(F.size(kept) - NEAR_WORDS + 1, F.lit(1)), F.lit(NEAR_WORDS)) if left else F.slice(kept, 1, NEAR_WORDS)
-
-
-def near_terms(rows: DataFrame) -> DataFrame:
-    """(row, value, term, start, end) from rows of (row, spans)."""
-    one = rows.select("row", F.explode("spans").alias("s"))
-    side = one.select("row", "s", _near(F.col("s.left"), True).alias("l"), _near(F.col("s.right"), False).alias("r"))
-    begin = F.col("s.start") - F.length("s.left")
-    placed = F.concat(
-        F.transform("l", lambda p: F.struct(F.lower(p["w"]).alias("term"), (begin + p["at"]).alias("start"), F.length(p["w"]).alias("n"))),
-        F.transform("r", lambda p: F.struct(F.lower(p["w"]).alias("term"), (F.col("s.end") + p["at"]).alias("start"), F.length(p["w"]).alias("n"))),
-    )
-    out = side.select("row", F.col("s.value").alias("value"), F.explode(placed).alias("p"))
-    return out.select("row", "value", "p.term", "p.start", (F.col("p.start") + F.col("p.n")).alias("end"))
-
-
 def distinct_texts(docs: DataFrame, text: str = "text") -> DataFrame:
     """(row, text): each text once. Only texts that have a copy are shuffled."""
     rows = docs.select(row_key(text).alias("row"), text_of(text).alias("text"))
@@ -151,19 +121,74 @@ def _words(text: Column) -> Column:
     return F.array_distinct(F.transform(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)), F.lower))
 
 
-def word_counts(texts: DataFrame) -> DataFrame:
-    """(term, documents): the texts that hold a word."""
-    return texts.select(F.explode(_words(F.col("text"))).alias("term")).groupBy("term").agg(F.count("*").alias("documents"))
+def _blanked(text: Column, spans: Column) -> Column:
+    """The text with blanks in place of the spans, of the same length."""
+    begin = F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast("array<string>").alias("parts"))
+
+    def step(a: Column, s: Column) -> Column:
+        plain = F.substr(text, (a["at"] + 1).cast("int"), F.greatest(s["start"] - a["at"], F.lit(0)).cast("int"))
+        blank = F.repeat(F.lit(" "), F.greatest(s["end"] - F.greatest(a["at"], s["start"]), F.lit(0)).cast("int"))
+        return F.struct(F.greatest(a["at"], s["end"]).alias("at"), F.concat(a["parts"], F.array(plain, blank)).alias("parts"))
+
+    whole = F.aggregate(spans, begin, step)
+    return let(whole, lambda w: F.concat(F.array_join(w["parts"], ""), F.substr(text, (w["at"] + 1).cast("int"), F.length(text))))
+
+
+def _placed_words(text: Column) -> Column:
+    """All words of a text, lower-cased, as (term, start, end)."""
+    # letters and other runs alternate, so their lengths add up to offsets
+    runs = F.regexp_extract_all(text, F.lit(r"\p{L}++|[^\p{L}]++"), F.lit(0))
+
+    def placed(pieces: Column) -> Column:
+        ends = lambda at: F.transform(pieces, lambda p, i: F.struct(F.lower(p).alias("term"), F.get(at, i).alias("start"), (F.get(at, i) + F.length(p)).alias("end")))
+        return let(prefix_sums(F.transform(pieces, lambda p: F.length(p).cast("long"))), ends)
+
+    return F.filter(let(runs, placed), lambda p: (p["end"] - p["start"] >= 3) & p["term"].rlike(r"^\p{L}"))
+
+
+def identifier_groups(base: DataFrame) -> DataFrame:
+    """(row, who, seen): the identifiers of each text, those with the same set of ``seen`` texts as one ``who``."""
+    values = base.select("row", F.explode(F.array_distinct(F.transform("spans", lambda s: s["value"]))).alias("value"))
+    sets = values.groupBy("value").agg(F.count("*").alias("seen"), F.bit_xor(F.xxhash64("row")).alias("a"), F.bit_xor(F.xxhash64("row", F.lit(1))).alias("b"))
+    return values.join(sets, "value").select("row", F.struct("seen", "a", "b").alias("who"), "seen").distinct()
+
+
+def word_counts(texts: DataFrame, held: DataFrame) -> DataFrame:
+    """(term, documents): texts that hold a word outside identifiers. ``held`` has for texts with identifiers the words that
+    only these make up (``inside``) and those that appear once they are cut off (``beside``)."""
+    words = texts.select(F.explode(_words(F.col("text"))).alias("term"), F.lit(1).alias("one"))
+    for column, one in (("inside", -1), ("beside", 1)):
+        words = words.unionByName(held.select(F.explode(column).alias("term"), F.lit(one).alias("one")))
+    return words.groupBy("term").agg(F.sum("one").alias("documents"))
+
+
+def _placed_words(text: Column) -> Column:
+    """All words of a text, lower-cased, as (term, start, end)."""
+    # letters and other runs alternate, so their lengths add up to offsets
+    runs = F.regexp_extract_all(text, F.lit(r"\p{L}++|[^\p{L}]++"), F.lit(0))
+
+    def placed(pieces: Column) -> Column:
+        ends = lambda at: F.transform(pieces, lambda p, i: F.struct(F.lower(p).alias("term"), F.get(at, i).alias("start"), (F.get(at, i) + F.length(p)).alias("end")))
+        return let(prefix_sums(F.transform(pieces, lambda p: F.length(p).cast("long"))), ends)
+
+    return F.filter(let(runs, placed), lambda p: (p["end"] - p["start"] >= 3) & p["term"].rlike(r"^\p{L}"))
+
+
+def identifier_groups(base: DataFrame) -> DataFrame:
+    """(row, who, seen): the identifiers of each text, those with the same set of ``seen`` texts as one ``who``."""
+    values = base.select("row", F.explode(F.array_distinct(F.transform("spans", lambda s: s["value"]))).alias("value"))
+    sets = values.groupBy("value").agg(F.count("*").alias("seen"), F.bit_xor(F.xxhash64("row")).alias("a"), F.bit_xor(F.xxhash64("row", F.lit(1))).alias("b"))
+    return values.join(sets, "value").select("row", F.struct("seen", "a", "b").alias("who"), "seen").distinct()
 
 
 def disclosing_terms(pairs: DataFrame, counts: DataFrame, total: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """(value, term, disclosure) of words that give an identifier away, from all (value, seen, term, together).
+    """(who, term, disclosure) of words that give identifiers away, from all (who, seen, term, together).
 
-    disclosure = PMI(term; value) / IC(value), from corpus counts: 1 if the word is never seen apart from the identifier.
+    disclosure = PMI(term; who) / IC(who), from corpus counts: 1 if the word is never seen apart from the identifier.
     """
-    tried = pairs.groupBy("value").agg(F.count("*").alias("tried"))
-    scored = pairs.join(counts, "term").join(tried, "value").join(F.broadcast(total)).withColumn("disclosure", _disclosure())
-    return scored.filter((F.col("disclosure") >= threshold) & (_evidence() >= F.log("tried"))).select("value", "term", "disclosure")
+    tried = pairs.groupBy("who").agg(F.count("*").alias("tried"))
+    scored = pairs.join(counts, "term").join(tried, "who").join(F.broadcast(total)).withColumn("disclosure", _disclosure())
+    return scored.filter((F.col("disclosure") >= threshold) & (_evidence() >= F.log("tried"))).select("who", "term", "disclosure")
 
 
 def _disclosure() -> Column:
@@ -186,14 +211,16 @@ def sanitise_spans(docs: DataFrame, text: str = "text", threshold: float = THRES
     scratch = Scratch(docs.sparkSession, "spans")
     texts = distinct_texts(docs, text)
     found = base_spans(texts).filter(F.size("spans") > 0)
-    base = scratch.write(found.select("row", "spans"), "base")
-    near = near_terms(base)
-    seen = base.select("row", F.explode(F.array_distinct(F.transform("spans", lambda s: s["value"]))).alias("value")).groupBy("value").agg(F.count("*").alias("seen"))
-    pairs = near.select("row", "value", "term").distinct().groupBy("value", "term").agg(F.count("*").alias("together")).join(seen, "value")
-    flagged = scratch.write(disclosing_terms(pairs, word_counts(texts), texts.agg(F.count("*").alias("n")), threshold), "flagged")
-    few = flagged.count() <= BROADCAST_ROWS
-    hits = near.join(F.broadcast(flagged) if few else flagged, ["value", "term"])
-    terms = hits.groupBy("row").agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias("terms"))
+    found = found.select("row", "text", "spans", _placed_words(_blanked(F.col("text"), F.col("spans"))).alias("words"))
+    whole, own = _words(F.col("text")), F.transform("words", lambda w: w["term"])
+    base = scratch.write(found.select("row", "spans", "words", F.array_except(whole, own).alias("inside"), F.array_except(own, whole).alias("beside")), "base")
+    held = scratch.write(identifier_groups(base), "held")
+    words = base.select("row", F.explode(F.array_distinct(F.transform("words", lambda w: w["term"]))).alias("term"))
+    pairs = held.join(words, "row").groupBy("who", "seen", "term").agg(F.count("*").alias("together"))
+    flagged = scratch.write(disclosing_terms(pairs, word_counts(texts, base), texts.agg(F.count("*").alias("n")), threshold), "flagged")
+    asked = held.join(flagged, "who").select("row", "term").distinct()
+    hits = base.select("row", F.explode("words").alias("w")).select("row", "w.term", "w.start", "w.end").join(asked, ["row", "term"])
+    terms = hits.groupBy("row").agg(F.sort_array(F.collect_list(F.struct("start", "end"))).alias("terms"))
     thin = base.select("row", F.transform("spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))).alias("base"))
     return thin, terms
 

@@ -158,3 +158,25 @@ def test_word_beside_an_identifier_seen_once(spark):
     got = {r.doc_id: r.text for r in pii.sanitise(df).collect()}
     assert got.pop(0) == "[TERM] writes from [EMAIL] today"
     assert all(got[i] == texts[i] for i in got)
+
+
+def test_disclosing_word_is_replaced_in_the_whole_text(spark):
+    """Also far from the identifier and beyond a number that fails its check; a word inside an identifier is no word of the text."""
+    far = " ".join(["somebody writes from home today"] * 60)
+    texts = [f"Vexley born 1970, card 4111 1111 1111 1111 {far} vexley. vexley@mail.org"] + [f"somebody writes from home today born card {'a' * (3 + i)}" for i in range(60)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.text for r in pii.sanitise(df).collect()}
+    assert got[0] == f"[TERM] born 1970, card [CARD] {far} [TERM]. [EMAIL]"
+    assert all(got[i] == texts[i] for i in range(1, 61))
+
+
+def test_identifiers_of_the_same_texts_are_scored_once(spark):
+    listed = " ".join(f"user{i}@mail.org" for i in range(200))
+    base = pii.base_spans(pii.distinct_texts(spark.createDataFrame([(f"Vexley {listed}",), ("user0@mail.org other",)], "text string")))
+    assert base.count() == 2 and pii.identifier_groups(base).count() == 3
+
+
+def test_words_that_touch_an_identifier_are_counted(spark):
+    texts = ["zq@mail.comÉtoile glows"] + [f"somebody glows from home today {'a' * (3 + i)}" for i in range(40)]
+    got = {r.doc_id: r.text for r in pii.sanitise(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert got[0] == "[EMAIL][TERM] glows"
