@@ -18,14 +18,19 @@ from .state import StateStore
 
 
 class StreamDetector:
-    """``train`` and the stream's rows are (doc_id, terms). ``refresh`` says how often the history is weighed anew: 1 is every batch, n every n-th.
+    """``train`` and the stream's rows are (doc_id, terms). The history is the training, weighed anew at every batch.
 
-    Between refreshes history and queries of candidate search both use the older model; the distances of candidates always
-    use the current one.
+    Static and merged schemes give the rows of ``detect.scores``; settings that the stream can't carry are refused.
     """
 
-    def __init__(self, spark: SparkSession, path: str, train: DataFrame, cfg: Config = Config(), refresh: int = 1):
-        self.spark, self.path, self.cfg, self.refresh = spark, path, cfg, refresh
+    def __init__(self, spark: SparkSession, path: str, train: DataFrame, cfg: Config = Config()):
+        if cfg.scheme not in ("static", "merged"):
+            raise ValueError(f"a stream has no state for scheme {cfg.scheme!r}")
+        if cfg.history != "reference":
+            raise ValueError(f"a stream has no history {cfg.history!r}: it searches the training only")
+        if cfg.scheme == "static" and cfg.oov == "norm":
+            raise ValueError("a stream has no norm of unknown words")
+        self.spark, self.path, self.cfg = spark, path, cfg
         self.state = StateStore(spark, f"{path}/state")
         self.train = model.term_counts(train)
         if not self.state.versions():

@@ -39,3 +39,21 @@ def test_stream_equals_batch_run_and_replay(spark, sf, tmp_path):
 def test_no_cross_join_in_hashed_search(spark, sf):
     plan = QUERIES["lsh_multi"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in plan and "Python" not in plan
+
+
+@pytest.mark.parametrize("cfg", [Config(scheme="additive"), Config(history="all_seen"), Config(scheme="static", oov="norm")])
+def test_stream_refuses_what_it_cannot_carry(spark, tmp_path, cfg):
+    train = spark.createDataFrame([(0, ["a", "b"])], "doc_id long, terms array<string>")
+    with pytest.raises(ValueError):
+        live.detector.StreamDetector(spark, f"file://{tmp_path}/s", train, cfg)
+
+
+@pytest.mark.parametrize("cfg", [Config(scheme="static", search="exact"), Config(k=4, tables=8), Config(search="exact", tf_mode="raw"), Config(search="exact", tf_mode="collection")])
+def test_stream_settings_equal_batch_run(spark, tmp_path, cfg):
+    rows = [(0, 0, "a b c".split()), (1, 0, "b d d e".split()), (2, 1, "a b c f".split()), (3, 1, "d d e".split()), (4, 2, "f c a".split()), (5, 2, "x".split())]
+    docs = spark.createDataFrame(rows, "doc_id long, batch_id long, terms array<string>")
+    held = live.detector.StreamDetector(spark, f"file://{tmp_path}/s", docs.filter("batch_id = 0").select("doc_id", "terms"), cfg)
+    for b in (1, 2):
+        held.batch(docs.filter(f"batch_id = {b}"), b - 1)
+    key = lambda df: sorted(map(tuple, df.select("doc_id", "distance", "match_id").collect()), key=str)
+    assert key(held.scored()) == key(detect.scores(docs, cfg))
