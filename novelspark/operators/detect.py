@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..sources.scratch import Scratch
 from . import lsh, model, similarity
 
 
@@ -26,6 +27,7 @@ class Config:
     tf_mode: str = "log"  # log, raw, collection
     oov: str = "drop"  # drop, norm (static only)
     history: str = "reference"  # reference, all_seen
+    target: str = "document"  # document, centroid
     distance: str = "cosine"  # cosine, hamming
     combine: str = "union"  # union, mean
     bucket_cap: int | None = None
@@ -37,100 +39,167 @@ class Config:
 STATIC, INCREMENTAL = Config(scheme="static"), Config()
 
 
+def streams_of(docs: DataFrame) -> tuple[str, ...]:
+    """Documents may carry a column ``stream``: streams are then detected apart from each other, all in one plan."""
+    return ("stream",) if "stream" in docs.columns else ()
+
+
 def models(docs: DataFrame, tf: DataFrame, cfg: Config) -> DataFrame:
-    """(batch_id, term, idf, cf): the model that each batch is scored with."""
+    """(stream, batch_id, term, idf, cf): the model that each batch is scored with."""
+    by = streams_of(docs)
     if cfg.scheme != "static":
-        return model.history(tf, docs, cfg.scheme, cfg.base)
-    train = model.StaticModel.fit(tf.filter("batch_id = 0"), docs.filter("batch_id = 0"))
-    last = docs.agg(F.max("batch_id").alias("top"))
-    return train.idf(cfg.base).join(F.broadcast(last)).select(F.explode(F.sequence(F.lit(0).cast("bigint"), "top")).alias("batch_id"), "term", "idf", "cf")
+        return model.history(tf, docs, cfg.scheme, cfg.base, by)
+    ends = docs.groupBy(*by).agg(F.count_if(F.col("batch_id") == 0).alias("n"), F.max("batch_id").alias("top"))
+    known = tf.filter("batch_id = 0").groupBy(*by, "term").agg(F.count("*").alias("df"), F.sum("tf").alias("cf"))
+    known = known.join(F.broadcast(ends), list(by)) if by else known.join(F.broadcast(ends))
+    return known.select(*by, F.explode(F.sequence(F.lit(0).cast("bigint"), "top")).alias("batch_id"), "term", model.log(F.col("n") / F.col("df"), cfg.base).alias("idf"), "cf")
+
 
+def statistics(docs: DataFrame, cfg: Config, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """Counts (stream, batch_id, doc_id, term, tf) and models of every batch, as written tables: all later steps read these."""
+    by = streams_of(docs)
+    tf = scratch.write(model.term_counts(docs, keys=(*by, "doc_id", "batch_id")), "tf")
+    return tf, scratch.write(models(docs, tf, cfg), "models")
 
-def vectors(docs: DataFrame, cfg: Config) -> tuple[DataFrame, DataFrame]:
-    """Raw weights (batch_id, doc_id, term, x) of queries, and of the history *as each batch's model weighs it*.
 
-    A pair is scored with both vectors under the query's model. The history is weighed once a batch, which a run over
-    few batches affords; the streaming detector carries one model forward instead.
+def vectors(tf: DataFrame, held: DataFrame, cfg: Config) -> tuple[DataFrame, DataFrame]:
+    """Raw weights (stream, batch_id, doc_id, term, x) of queries, and of the history *as each batch's model weighs it*.
+
+    A pair is scored with both vectors under the query's model. The weighed history is never stored: lengths, signatures and centroids
+    are aggregates that start where it is made, and products read the plain counts.
     """
-    tf = model.term_counts(docs, keys=("doc_id", "batch_id")).persist()
-    held = models(docs, tf, cfg).persist()
+    by = streams_of(tf)
     x = (model.damped(F.col("tf"), cfg.tf_mode, cfg.base, F.col("cf")) * F.col("idf")).alias("x")
-    queries = tf.filter("batch_id > 0").join(held, ["batch_id", "term"]).select("batch_id", "doc_id", "term", x)
-    past = tf.withColumnRenamed("batch_id", "own") if cfg.history == "all_seen" else tf.filter("batch_id = 0").withColumnRenamed("batch_id", "own")
-    past = past.join(held.filter("batch_id > 0"), "term").filter("own <= batch_id").select("batch_id", "doc_id", "term", x)
+    queries = tf.filter("batch_id > 0").join(held, [*by, "batch_id", "term"]).select(*by, "batch_id", "doc_id", "term", x, "idf", "cf")
+    past = known(tf, cfg).join(held.filter("batch_id > 0"), [*by, "term"]).filter("own <= batch_id").select(*by, "batch_id", "doc_id", "term", x)
     return queries, past
 
 
-def _unknown_norm(docs: DataFrame, cfg: Config) -> DataFrame:
-    """(batch_id, doc_id, more): what unknown words add to the squared length, each weighed as a word of one document."""
-    tf = model.term_counts(docs, keys=("doc_id", "batch_id"))
-    train, size = tf.filter("batch_id = 0"), model.corpus_size(docs.filter("batch_id = 0"))
-    unknown = tf.filter("batch_id > 0").join(train.select("term").distinct(), "term", "left_anti").join(F.broadcast(size))
+def known(tf: DataFrame, cfg: Config) -> DataFrame:
+    """Counts of the history, ``own`` being the batch in which a document came."""
+    return (tf if cfg.history == "all_seen" else tf.filter("batch_id = 0")).withColumnRenamed("batch_id", "own")
+
+
+def _unknown_norm(docs: DataFrame, tf: DataFrame, cfg: Config) -> DataFrame:
+    """(stream, batch_id, doc_id, more): what unknown words add to the squared length, each weighed as a word of one document."""
+    by = streams_of(docs)
+    train, size = tf.filter("batch_id = 0"), docs.filter("batch_id = 0").groupBy(*by).agg(F.count("*").alias("n"))
+    unknown = tf.filter("batch_id > 0").join(train.select(*by, "term").distinct(), [*by, "term"], "left_anti")
+    unknown = unknown.join(F.broadcast(size), list(by)) if by else unknown.join(F.broadcast(size))
     x = model.damped(F.col("tf"), cfg.tf_mode, cfg.base, F.col("tf")) * model.log(F.col("n").cast("double"), cfg.base)
-    return unknown.groupBy("batch_id", "doc_id").agg(F.sum(x * x).alias("more"))
+    return unknown.groupBy(*by, "batch_id", "doc_id").agg(F.sum(x * x).alias("more"))
 
 
 def scores(docs: DataFrame, cfg: Config) -> DataFrame:
-    """(doc_id, distance, match_id) of every document after the training; distance 1 and no match where nothing was compared."""
-    docs = docs.select("doc_id", "batch_id", "terms").persist()
-    queries, past = (v.persist() for v in vectors(docs, cfg))  # each is read by hashing, by the lengths and by the products
-    return search(docs, queries, past, cfg)
-
+    """(stream, doc_id, distance, match_id) of every document after the training; distance 1 and no match where nothing was compared.
 
-def search(docs: DataFrame, queries: DataFrame, past: DataFrame, cfg: Config) -> DataFrame:
-    """The search alone: nearest history document of each query, from raw weights (batch_id, doc_id, term, x) of both sides."""
-    key = ("batch_id", "doc_id")
+    With ``target='centroid'`` history documents carry a ``cluster``, and ``match_id`` is the nearest cluster.
+    """
+    scratch, by = Scratch(docs.sparkSession, "detect"), streams_of(docs)
+    extra = ("cluster",) if cfg.target == "centroid" else ()
+    docs = scratch.write(docs.select(*by, "doc_id", "batch_id", "terms", *extra), "docs")
+    tf, held = statistics(docs, cfg, scratch)
+    return search(docs, tf, held, cfg)
+
+
+def hashed(tf: DataFrame, held: DataFrame, cfg: Config) -> tuple[DataFrame, DataFrame]:
+    """Signatures (stream, batch_id, doc_id, bands) of queries and of the history under each batch's model."""
+    by = streams_of(tf)
+    return tuple(lsh.signatures(v, cfg.k, cfg.tables, cfg.seed, (*by, "batch_id", "doc_id")) for v in vectors(tf, held, cfg))
+
+
+def met_in_tables(q: DataFrame, h: DataFrame, cfg: Config) -> DataFrame:
+    """(stream, batch_id, q, h, table_no) of pairs in one bucket, the history document being the earlier one."""
+    extra = (*streams_of(q), "batch_id")
+    q, h = (lsh.buckets(v, extra) for v in (q, h))
+    if cfg.bucket_cap:
+        newest = W.partitionBy(*extra, "table_no", "bucket").orderBy(F.desc("doc_id"))
+        h = h.withColumn("age", F.row_number().over(newest)).filter(F.col("age") <= cfg.bucket_cap).drop("age")
+    return q.withColumnRenamed("doc_id", "q").join(h.withColumnRenamed("doc_id", "h"), [*extra, "table_no", "bucket"]).filter("h < q").select(*extra, "q", "h", "table_no")
+
+
+def search(docs: DataFrame, tf: DataFrame, held: DataFrame, cfg: Config) -> DataFrame:
+    """The search alone, from written counts and models: nearest history document of each query."""
+    by = streams_of(docs)
+    at = [*by, "batch_id"]
+    queries, past = vectors(tf, held, cfg)
+    if cfg.target == "centroid":
+        return _by_centroid(docs, queries, past)
+    pairs = None
     if cfg.search == "lsh":
-        signed = lambda v: lsh.signatures(v, cfg.k, cfg.tables, cfg.seed, key)
-        q, h = (lsh.buckets(signed(v), ("batch_id",)) for v in (queries, past))
-        if cfg.bucket_cap:
-            newest = W.partitionBy("batch_id", "table_no", "bucket").orderBy(F.desc("doc_id"))
-            h = h.withColumn("age", F.row_number().over(newest)).filter(F.col("age") <= cfg.bucket_cap).drop("age")
+        a, b = hashed(tf, held, cfg)
+        tabled = met_in_tables(a, b, cfg)
+        pairs = tabled.select(*at, "q", "h").distinct()
         if cfg.distance == "hamming":
-            return _by_hamming(docs, q, h, queries, past, cfg, key)
-        if cfg.combine == "mean":
-            tabled = q.select(F.col("doc_id").alias("q"), "batch_id", "table_no", "bucket").join(h.withColumnRenamed("doc_id", "h"), ["batch_id", "table_no", "bucket"]).filter("h < q")
-            pairs = tabled.select("q", "h", "batch_id").distinct()
-        else:
-            pairs = lsh.candidates(q, h, ("batch_id",)).filter("h < q")
-    else:
-        pairs = None
-    length = lambda v: v.groupBy(*key).agg(F.sum(F.col("x") * F.col("x")).alias("s"))
-    ql, hl = length(queries), length(past)
-    if cfg.oov == "norm" and cfg.scheme == "static":
-        ql = ql.join(_unknown_norm(docs, cfg), list(key), "left").select(*key, (F.col("s") + F.coalesce("more", F.lit(0.0))).alias("s"))
-    qv = queries.filter("x <> 0").select("batch_id", F.col("doc_id").alias("q"), "term", F.col("x").alias("xq"))
-    hv = past.filter("x <> 0").select("batch_id", F.col("doc_id").alias("h"), "term", F.col("x").alias("xh"))
-    met = pairs.join(qv, ["batch_id", "q"]).join(hv, ["batch_id", "h", "term"]) if pairs is not None else qv.join(hv, ["batch_id", "term"]).filter("h < q")
-    dots = met.groupBy("batch_id", "q", "h").agg(F.sum(F.col("xq") * F.col("xh")).alias("dot"))
-    whole = dots.join(ql.select("batch_id", F.col("doc_id").alias("q"), F.col("s").alias("sq")), ["batch_id", "q"]).join(hl.select("batch_id", F.col("doc_id").alias("h"), F.col("s").alias("sh")), ["batch_id", "h"])
-    near = whole.select("q", "h", F.coalesce(F.try_divide("dot", F.sqrt(F.col("sq") * F.col("sh"))), F.lit(0.0)).alias("similarity"))
+            return _by_hamming(docs, pairs, a, b, cfg)
+    near = _similarities(docs, tf, held, cfg, pairs)
     if cfg.search == "lsh" and cfg.combine == "mean":
         return _by_mean(docs, tabled, near, cfg)
-    return finished(docs, similarity.nearest(near))
+    return finished(docs, similarity.nearest(near, by))
+
+
+def _similarities(docs: DataFrame, tf: DataFrame, held: DataFrame, cfg: Config, pairs: DataFrame | None) -> DataFrame:
+    """(stream, q, h, similarity) of given pairs, or of all with a common term."""
+    by = streams_of(docs)
+    at = [*by, "batch_id"]
+    queries, past = vectors(tf, held, cfg)
+    length = lambda v: v.groupBy(*at, "doc_id").agg(F.sum(F.col("x") * F.col("x")).alias("s"))
+    ql, hl = length(queries), length(past)
+    if cfg.oov == "norm" and cfg.scheme == "static":
+        ql = ql.join(_unknown_norm(docs, tf, cfg), [*at, "doc_id"], "left").select(*at, "doc_id", (F.col("s") + F.coalesce("more", F.lit(0.0))).alias("s"))
+    # the query's row carries its batch's idf, so history postings enter the product as plain counts, once and not once a batch
+    qv = queries.filter("x <> 0").select(*at, F.col("doc_id").alias("q"), "term", "x", "idf", "cf")
+    hv = known(tf, cfg).select(*by, "own", F.col("doc_id").alias("h"), "term", "tf")
+    met = pairs.join(qv, [*at, "q"]).join(hv, [*by, "h", "term"]) if pairs is not None else qv.join(hv, [*by, "term"]).filter("h < q")
+    xh = model.damped(F.col("tf"), cfg.tf_mode, cfg.base, F.col("cf")) * F.col("idf")
+    dots = met.filter("own <= batch_id").groupBy(*at, "q", "h").agg(F.sum(F.col("x") * xh).alias("dot"))
+    whole = dots.join(ql.select(*at, F.col("doc_id").alias("q"), F.col("s").alias("sq")), [*at, "q"]).join(hl.select(*at, F.col("doc_id").alias("h"), F.col("s").alias("sh")), [*at, "h"])
+    return whole.select(*by, "q", "h", F.coalesce(F.try_divide("dot", F.sqrt(F.col("sq") * F.col("sh"))), F.lit(0.0)).alias("similarity"))
+
+
+def all_distances(docs: DataFrame, tf: DataFrame, held: DataFrame, cfg: Config) -> DataFrame:
+    """(stream, q, h, distance) of all pairs with a common weighed term, under the query's model."""
+    near = _similarities(docs, tf, held, cfg, None)
+    return near.select(*streams_of(docs), "q", "h", F.round(similarity.distance(F.col("similarity")), similarity.DIGITS).alias("distance"))
 
 
 def _by_mean(docs: DataFrame, tabled: DataFrame, near: DataFrame, cfg: Config) -> DataFrame:
     """Mean over tables of each table's smallest distance; a table without a candidate counts as 1."""
-    far = tabled.join(near, ["q", "h"], "left").withColumn("d", F.round(1 - F.coalesce("similarity", F.lit(0.0)), similarity.DIGITS))
-    best = far.groupBy("q", "table_no").agg(F.min(F.struct("d", "h")).alias("s"))
-    mean = best.groupBy("q").agg(F.round((F.sum("s.d") + F.lit(cfg.tables) - F.count("*")) / cfg.tables, similarity.DIGITS + 3).alias("distance"), F.min("s").alias("m"))
-    return finished(docs, mean.select("q", "distance", F.col("m.h").alias("h")))
+    by = streams_of(docs)
+    far = tabled.join(near, [*by, "q", "h"], "left").withColumn("d", F.round(1 - F.coalesce("similarity", F.lit(0.0)), similarity.DIGITS))
+    best = far.groupBy(*by, "q", "table_no").agg(F.min(F.struct("d", "h")).alias("s"))
+    mean = best.groupBy(*by, "q").agg(F.round((F.sum("s.d") + F.lit(cfg.tables) - F.count("*")) / cfg.tables, similarity.DIGITS + 3).alias("distance"), F.min("s").alias("m"))
+    return finished(docs, mean.select(*by, "q", "distance", F.col("m.h").alias("h")))
 
 
-def _by_hamming(docs, q, h, queries, past, cfg: Config, key) -> DataFrame:
+def _by_hamming(docs: DataFrame, pairs: DataFrame, a: DataFrame, b: DataFrame, cfg: Config) -> DataFrame:
     """Decision from signature bits alone, without a look at the vectors."""
-    pairs = lsh.candidates(q, h, ("batch_id",)).filter("h < q")
-    a, b = (lsh.signatures(v, cfg.k, cfg.tables, cfg.seed, key) for v in (queries, past))
-    both = pairs.join(a.select("batch_id", F.col("doc_id").alias("q"), F.col("bands").alias("a")), ["batch_id", "q"]).join(b.select("batch_id", F.col("doc_id").alias("h"), F.col("bands").alias("b")), ["batch_id", "h"])
+    by = streams_of(docs)
+    at = [*by, "batch_id"]
+    both = pairs.join(a.select(*at, F.col("doc_id").alias("q"), F.col("bands").alias("a")), [*at, "q"]).join(b.select(*at, F.col("doc_id").alias("h"), F.col("bands").alias("b")), [*at, "h"])
     share = F.round(lsh.hamming(F.col("a"), F.col("b")) / (cfg.k * cfg.tables), similarity.DIGITS)
-    return finished(docs, both.groupBy("q").agg(F.min(F.struct(share.alias("d"), "h")).alias("s")).select("q", F.col("s.d").alias("distance"), "s.h"))
+    return finished(docs, both.groupBy(*by, "q").agg(F.min(F.struct(share.alias("d"), "h")).alias("s")).select(*by, "q", F.col("s.d").alias("distance"), "s.h"))
+
+
+def _by_centroid(docs: DataFrame, queries: DataFrame, past: DataFrame) -> DataFrame:
+    """Distance to the nearest centroid: the mean of a cluster's unit vectors under the query's model."""
+    by = streams_of(docs)
+    at = [*by, "batch_id"]
+    length = lambda v, key: v.groupBy(*at, key).agg(F.sum(F.col("x") * F.col("x")).alias("s"))
+    of = docs.filter("cluster IS NOT NULL").select(*by, "doc_id", "cluster")
+    unit = past.join(length(past, "doc_id"), [*at, "doc_id"]).join(of, [*by, "doc_id"]).filter("s > 0")
+    mean = unit.groupBy(*at, "cluster", "term").agg(F.sum(F.col("x") / F.sqrt("s")).alias("x"))
+    dots = queries.select(*at, F.col("doc_id").alias("q"), "term", F.col("x").alias("xq")).join(mean, [*at, "term"]).groupBy(*at, "q", "cluster").agg(F.sum(F.col("xq") * F.col("x")).alias("dot"))
+    ends = dots.join(length(queries, "doc_id").select(*at, F.col("doc_id").alias("q"), F.col("s").alias("sq")), [*at, "q"]).join(length(mean, "cluster").select(*at, "cluster", F.col("s").alias("sc")), [*at, "cluster"])
+    near = ends.select(*by, "q", F.col("cluster").alias("h"), F.coalesce(F.try_divide("dot", F.sqrt(F.col("sq") * F.col("sc"))), F.lit(0.0)).alias("similarity"))
+    return finished(docs, similarity.nearest(near, by))
 
 
 def finished(docs: DataFrame, near: DataFrame) -> DataFrame:
     """Every document after the training has a row; a nearest one at distance 1 is no match."""
-    near = near.filter("distance < 1").select(F.col("q").alias("doc_id"), "distance", F.col("h").alias("match_id"))
-    return docs.filter("batch_id > 0").select("doc_id").join(near, "doc_id", "left").select("doc_id", F.coalesce("distance", F.lit(1.0)).alias("distance"), "match_id")
+    by = streams_of(docs)
+    near = near.filter("distance < 1").select(*by, F.col("q").alias("doc_id"), "distance", F.col("h").alias("match_id"))
+    return docs.filter("batch_id > 0").select(*by, "doc_id").join(near, [*by, "doc_id"], "left").select(*by, "doc_id", F.coalesce("distance", F.lit(1.0)).alias("distance"), "match_id")
 
 
 def decide(scored: DataFrame, threshold: float) -> DataFrame:

@@ -129,23 +129,22 @@ class IncrementalModel:
         return unit(raw_weights(tf, self.idf(base), mode, base))
 
 
-def history(tf: DataFrame, docs: DataFrame, scheme: str = "merged", base: float = 10) -> DataFrame:
-    """(batch_id, term, idf, cf): the model as of every batch, in one plan. Batches are numbered without holes; 0 is the training.
+def history(tf: DataFrame, docs: DataFrame, scheme: str = "merged", base: float = 10, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by, batch_id, term, idf, cf): the model as of every batch, in one plan. Batches are numbered without holes; 0 is the training.
 
-    A term has rows from its first batch on; both running sums are partitioned (by term, and over one row a batch).
+    A term has rows from its first batch on, made by one generator from its sorted changes; running sums stay within a term's array, or
+    run over one row a batch. ``by`` names columns of streams that are apart from each other.
     """
-    sizes = docs.groupBy("batch_id").agg(F.count("*").alias("nb"))
-    sizes = sizes.withColumn("n", F.sum("nb").over(W.orderBy("batch_id"))).withColumn("top", F.max("batch_id").over(W.partitionBy()))
-    own = tf.groupBy("batch_id", "term").agg(F.count("*").alias("dfb"), F.sum("tf").alias("cfb"))
-    own = own.join(F.broadcast(sizes), "batch_id").withColumn("idfb", log(F.col("nb") / F.col("dfb"), base))
-    spans = own.groupBy("term").agg(F.min("batch_id").alias("first"), F.max("top").alias("top"))
-    grid = spans.select("term", F.explode(F.sequence("first", "top")).alias("batch_id"))
-    so_far = W.partitionBy("term").orderBy("batch_id")
-    filled = grid.join(own.select("batch_id", "term", "dfb", "cfb", "idfb"), ["batch_id", "term"], "left")
-    summed = filled.select("batch_id", "term", *[F.sum(c).over(so_far).alias(c[:-1]) for c in ("dfb", "cfb", "idfb")])
+    sizes = docs.groupBy(*by, "batch_id").agg(F.count("*").alias("nb"))
+    sizes = sizes.withColumn("n", F.sum("nb").over(W.partitionBy(*by).orderBy("batch_id"))).withColumn("top", F.max("batch_id").over(W.partitionBy(*by)))
+    own = tf.groupBy(*by, "batch_id", "term").agg(F.count("*").alias("dfb"), F.sum("tf").alias("cfb"))
+    own = own.join(F.broadcast(sizes), [*by, "batch_id"]).withColumn("idfb", log(F.col("nb") / F.col("dfb"), base))
+    so_far = W.partitionBy(*by, "term").orderBy("batch_id")
+    held = own.select(*by, "term", F.col("batch_id").alias("since"), "top", *[F.sum(c).over(so_far).alias(c[:-1]) for c in ("dfb", "cfb", "idfb")], (F.lead("batch_id").over(so_far) - 1).alias("until"))
+    filled = held.select(*by, "term", "df", "cf", "idf", F.explode(F.sequence("since", F.coalesce("until", "top"))).alias("batch_id"))
     if scheme == "additive":
-        return summed.select("batch_id", "term", "idf", "cf")
-    return summed.join(F.broadcast(sizes.select("batch_id", "n")), "batch_id").select("batch_id", "term", log(F.col("n") / F.col("df"), base).alias("idf"), "cf")
+        return filled.select(*by, "batch_id", "term", "idf", "cf")
+    return filled.join(F.broadcast(sizes.select(*by, "batch_id", "n")), [*by, "batch_id"]).select(*by, "batch_id", "term", log(F.col("n") / F.col("df"), base).alias("idf"), "cf")
 
 
 def new_terms(tf: DataFrame) -> DataFrame:

@@ -50,10 +50,10 @@ def ranked(pairs: DataFrame, k: int = 1) -> DataFrame:
     return far.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("q", "h", "distance", "rank")
 
 
-def nearest(pairs: DataFrame) -> DataFrame:
-    """(q, distance, h): the minimum as one aggregate that starts before the shuffle."""
-    far = pairs.select("q", F.struct(F.round(distance(F.col("similarity")), DIGITS).alias("distance"), "h").alias("s"))
-    return far.groupBy("q").agg(F.min("s").alias("s")).select("q", "s.distance", "s.h")
+def nearest(pairs: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by, q, distance, h): the minimum as one aggregate that starts before the shuffle."""
+    far = pairs.select(*by, "q", F.struct(F.round(distance(F.col("similarity")), DIGITS).alias("distance"), "h").alias("s"))
+    return far.groupBy(*by, "q").agg(F.min("s").alias("s")).select(*by, "q", "s.distance", "s.h")
 
 
 def within(pairs: DataFrame, threshold: float) -> DataFrame:

@@ -3,22 +3,22 @@
 from __future__ import annotations
 
 import functools
-import math
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import detect, lsh, metrics, model, similarity
 from ..operators.detect import Config
+from ..sources.scratch import Scratch
 from ..sources.tables import table
 from . import streams
 from .novelty import signature_sql
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
-#: The search of the tables below; more tables cost time in the oracle, not in the method.
-HASHED = Config(k=4, tables=8)
 THRESHOLD = 0.8
+#: The search of the hashed detectors: as many tables as find a neighbour at the threshold's cosine with chance 0.9.
+HASHED = Config(k=4, tables=lsh.tables_needed(4, 1 - THRESHOLD, 0.1))
 
 
 def query(name: str, sql: str | None = None):
@@ -134,25 +134,11 @@ def near_pairs(spark, d) -> tuple[DataFrame, DataFrame]:
     return similarity.within(similarity.products(w, w, prior=True), THRESHOLD).select("q", "h"), docs.select("doc_id")
 
 
-def rounds_table(spark, name: str):
-    """Rounds of an iteration as tables in the shared folder."""
-    import tempfile
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="novelspark-")
-    root = f"{base}/{name}-{uuid.uuid4().hex}"
-
-    def write(df: DataFrame, r: int) -> DataFrame:
-        df.write.parquet(f"{root}/{r}")
-        return spark.read.schema(df.schema).parquet(f"{root}/{r}")
-
-    return write
-
-
 @query("detect_novel_only")
 def detect_novel_only(spark, d):
     pairs, docs = near_pairs(spark, d)
-    return detect.settle(pairs, docs, rounds_table(spark, "settle"))
+    scratch = Scratch(spark, "settle")
+    return detect.settle(scratch.write(pairs, "pairs"), docs, scratch.write)
 
 
 CHAIN_SQL = f"""{BASE_SQL.replace('WITH', 'WITH RECURSIVE', 1)}, {scores_sql(Config(search='exact', history='all_seen'))}, dec AS ({DECIDED} scored),
@@ -162,7 +148,7 @@ chain AS (SELECT doc_id, doc_id AS node FROM docs UNION ALL SELECT chain.doc_id,
 @query("event_chains", CHAIN_SQL)
 def event_chains(spark, d):
     decided = detect.decide(detect.scores(streams.constructed(spark, d), Config(search="exact", history="all_seen")), THRESHOLD)
-    return detect.chains(decided, rounds_table(spark, "chains"))
+    return detect.chains(decided, Scratch(spark, "chains").write)
 
 
 @query("decide", f"{BASE_SQL}, {scores_sql(Config(scheme='static', search='exact'))} {DECIDED} scored")
@@ -176,9 +162,15 @@ EXACT = Config(search="exact")
 SCORED = f"{BASE_SQL}, {scores_sql(EXACT, out='sc')}, s AS (SELECT doc_id, distance, match_id, truth_id FROM sc JOIN docs USING (doc_id)), dec AS (SELECT s.*, match_id IS NULL OR distance >= {THRESHOLD} AS is_novel FROM s)"
 
 
+def with_truth(docs: DataFrame, cfg: Config) -> DataFrame:
+    """Scored rows of a stream with its truth, as a written table: measures read them more than once."""
+    by = [*detect.streams_of(docs), "doc_id"]
+    extra = [c for c in ("source_id",) if c in docs.columns]
+    return Scratch(docs.sparkSession, "scored").write(detect.scores(docs, cfg).join(docs.select(*by, "truth_id", *extra), by), "rows")
+
+
 def scored(spark, d, cfg: Config = EXACT, **stream) -> DataFrame:
-    docs = streams.constructed(spark, d, **stream)
-    return detect.scores(docs, cfg).join(docs.select("doc_id", "truth_id"), "doc_id")
+    return with_truth(streams.constructed(spark, d, **stream), cfg)
 
 
 def decided(spark, d) -> DataFrame:
@@ -274,10 +266,9 @@ PAIRS = f"{BASE_SQL}, {scores_sql(HASHED, out='ha')}, {scores_sql(EXACT, out='ex
 @query("met_work", f"{PAIRS} SELECT (SELECT count(*) FROM ha_p) AS hashed, (SELECT count(*) FROM ex_dot) AS joined, (SELECT count(*) FROM docs WHERE batch_id > 0) * (SELECT count(*) FROM docs WHERE batch_id = 0) AS all_pairs")
 def met_work(spark, d):
     docs = streams.constructed(spark, d)
-    queries, past = detect.vectors(docs, HASHED)
-    key = ("batch_id", "doc_id")
-    q, h = (lsh.buckets(lsh.signatures(v, HASHED.k, HASHED.tables, HASHED.seed, key), ("batch_id",)) for v in (queries, past))
-    hashed = lsh.candidates(q, h, ("batch_id",)).agg(F.count("*").alias("hashed"))
+    tf, held = detect.statistics(docs, HASHED, Scratch(spark, "work"))
+    queries, past = detect.vectors(tf, held, HASHED)
+    hashed = detect.met_in_tables(*detect.hashed(tf, held, HASHED), HASHED).select("batch_id", "q", "h").distinct().agg(F.count("*").alias("hashed"))
     met = queries.filter("x <> 0").select("batch_id", "term", F.col("doc_id").alias("q")).join(past.filter("x <> 0").select("batch_id", "term", F.col("doc_id").alias("h")), ["batch_id", "term"])
     joined = met.select("batch_id", "q", "h").distinct().agg(F.count("*").alias("joined"))
     sizes = docs.agg((F.count_if(F.col("batch_id") > 0) * F.count_if(F.col("batch_id") == 0)).alias("all_pairs"))
@@ -301,9 +292,12 @@ def met_random_line(spark, d):
     return metrics.det_curve(rows).agg(F.count("*").alias("points"), F.round(F.avg(F.col("p_miss") + F.col("p_fa")), 4).alias("mean_sum"))
 
 
-@query("met_annotated", f"{SCORED}, k AS (SELECT DISTINCT doc_id FROM labels), {COUNTS.replace('FROM dec', 'FROM dec WHERE doc_id IN (SELECT doc_id FROM k)')} SELECT * FROM c")
+@query("met_annotated", f"{SCORED}, k AS (SELECT DISTINCT doc_id FROM labels), {COUNTS.replace('FROM dec', 'FROM dec JOIN docs USING (doc_id) WHERE source_id IN (SELECT doc_id FROM k)').replace('truth_id', 'dec.truth_id')}, every AS (SELECT count(*) AS n_all FROM dec) SELECT c.*, n_all FROM c, every")
 def met_annotated(spark, d):
-    return metrics.confusion(decided(spark, d).join(table(spark, d, "labels").select("doc_id").distinct(), "doc_id", "left_semi"))
+    """Counts over the snippets cut from annotated documents, with the number of all snippets."""
+    rows = decided(spark, d)
+    known = table(spark, d, "labels").select(F.col("doc_id").alias("source_id")).distinct()
+    return metrics.confusion(rows.join(known, "source_id", "left_semi")).join(rows.agg(F.count("*").alias("n_all")))
 
 
 @query("met_bootstrap")
@@ -314,10 +308,9 @@ def met_bootstrap(spark, d):
 @query("met_holdout", f"""{SCORED.replace('dec AS (SELECT s.*', 'half AS (SELECT s.*, row_number() OVER (ORDER BY doc_id) * 2 <= count(*) OVER () AS early FROM s), dec AS (SELECT s.*')}, {CURVE.replace('FROM s ', 'FROM half WHERE early ')}, {BEST},
 dd AS (SELECT truth_id, distance >= threshold AS is_novel FROM half, best WHERE NOT early), {COUNTS.replace('FROM dec', 'FROM dd')} SELECT c.*, threshold FROM c, best""")
 def met_holdout(spark, d):
-    from pyspark.sql import Window as W
-
     rows = scored(spark, d)
-    half = rows.withColumn("early", F.row_number().over(W.orderBy("doc_id")) * 2 <= F.count("*").over(W.partitionBy()))
+    half = streams.numbered(rows, F.floor(F.col("doc_id") / 4096), ["doc_id"], "k").join(F.broadcast(rows.agg(F.count("*").alias("n"))))
+    half = half.withColumn("early", (F.col("k") + 1) * 2 <= F.col("n"))
     best = metrics.best_point(metrics.det_curve(half.filter("early").select("doc_id", "distance", "match_id", "truth_id"))).select("threshold")
     late = half.filter("NOT early").join(F.broadcast(best)).withColumn("is_novel", F.col("distance") >= F.col("threshold"))
     return metrics.confusion(late).join(best)
@@ -347,51 +340,89 @@ def best_sql(name: str, cfg: Config, base: str, extra: str) -> str:
     return f"(WITH {base}, {scores_sql(cfg, out='sc')}, s AS (SELECT doc_id, distance, truth_id FROM sc JOIN docs USING (doc_id)), {CURVE}, {BEST} SELECT {extra} threshold, round(p_miss, 6) AS p_miss, round(p_fa, 6) AS p_fa, round(cost, 6) AS cost FROM best)"
 
 
-CELLS = [(0.2, 1), (0.3, 14)]
+CELLS = [(keep, burst) for keep in (0.2, 0.3, 0.5) for burst in (1, 4, 14)]
+
+
+def best_of_streams(docs: DataFrame, cfgs: dict[str, Config], label: str = "scheme") -> DataFrame:
+    """Each scheme's best point on each stream: (label, stream, threshold, p_miss, p_fa, cost)."""
+    parts = []
+    for name, cfg in cfgs.items():
+        best = metrics.best_point(metrics.det_curve(with_truth(docs, cfg), ("stream",)), ("stream",))
+        parts.append(best.select(F.lit(name).alias(label), "stream", "threshold", *[F.round(c, 6).alias(c) for c in ("p_miss", "p_fa", "cost")]))
+    return union_all(parts)
+
+
+def cells(spark, d) -> DataFrame:
+    """The nine streams of kept share and repeats an event, cut from the same parents."""
+    held = streams.parents(spark, d)
+    return streams.together({f"{keep}/{burst}": streams.constructed(spark, d, keep, burst, held=held) for keep, burst in CELLS})
 
 
 @query("exp_schemes", " UNION ALL ".join(best_sql(n, c, streams.constructed_sql(k, b), f"'{n}' AS scheme, {k}::DOUBLE AS keep, {b} AS burst,") for n, c in SCHEMES.items() for k, b in CELLS))
 def exp_schemes(spark, d):
     """Each scheme at its own best threshold, over kept share and repeats an event (the comparison of the paper's two tables)."""
+    out = best_of_streams(cells(spark, d), SCHEMES)
+    part = F.split("stream", "/")
+    return out.select("scheme", F.get(part, F.lit(0)).cast("double").alias("keep"), F.get(part, F.lit(1)).cast("int").alias("burst"), "threshold", "p_miss", "p_fa", "cost")
+
+
+def curves_sql(k: float, b: int) -> str:
     parts = []
-    for keep, burst in CELLS:
-        for name, cfg in SCHEMES.items():
-            parts.append(best_of(scored(spark, d, cfg, keep=keep, burst=burst)).select(F.lit(name).alias("scheme"), F.lit(keep).alias("keep"), F.lit(burst).alias("burst"), "*"))
+    for name in ("static", "merged"):
+        parts.append(f"(WITH {streams.constructed_sql(k, b)}, {scores_sql(SCHEMES[name], out='sc')}, s AS (SELECT doc_id, distance, truth_id FROM sc JOIN docs USING (doc_id)), {CURVE}, {BEST} SELECT '{name}' AS scheme, cc.threshold, round(cc.p_miss, 6) AS p_miss, round(cc.p_fa, 6) AS p_fa, cc.threshold = best.threshold AS is_best FROM cc, best)")
+    return " UNION ALL ".join(parts)
+
+
+@query("exp_curves", curves_sql(0.3, 4))
+def exp_curves(spark, d):
+    """The trade-off curves of the static and the incremental scheme on one stream, each with its lowest-cost point marked."""
+    docs = streams.constructed(spark, d, 0.3, 4).withColumn("stream", F.lit("0.3/4"))
+    parts = []
+    for name in ("static", "merged"):
+        curve = metrics.det_curve(with_truth(docs, SCHEMES[name]))
+        best = metrics.best_point(curve).select(F.col("threshold").alias("at"))
+        parts.append(curve.join(F.broadcast(best)).select(F.lit(name).alias("scheme"), "threshold", F.round("p_miss", 6).alias("p_miss"), F.round("p_fa", 6).alias("p_fa"), (F.col("threshold") == F.col("at")).alias("is_best")))
     return union_all(parts)
 
 
 @query("exp_natural", f"WITH {streams.natural_sql()}, {scores_sql(EXACT, 'ndocs', 'sc')}, s AS (SELECT doc_id, distance, truth_id FROM sc JOIN ndocs USING (doc_id)), {CURVE}, {BEST} SELECT threshold, round(p_miss, 6) AS p_miss, round(p_fa, 6) AS p_fa, round(cost, 6) AS cost FROM best")
 def exp_natural(spark, d):
     """The given documents in order, truth from 5-grams: merged weights, exhaustive search."""
-    docs = streams.natural(spark, d)
-    return best_of(detect.scores(docs, EXACT).join(docs.select("doc_id", "truth_id"), "doc_id"))
+    return best_of(with_truth(streams.natural(spark, d), EXACT))
 
 
-SWEEP = [(4, 1), (4, 2), (4, 5), (8, 1), (8, 5)]
+SWEEP_K, SWEEP_L = (4, 8, 13), (1, 2, 5, 14, 22)
 
 
-@query("exp_tables", " UNION ALL ".join(f"(WITH {streams.constructed_sql()}, {scores_sql(Config(k=k, tables=t), out='ha')}, {scores_sql(EXACT, out='ex')} SELECT {k} AS k, {t} AS tables, (SELECT count(*) FROM ha_p) AS pairs, count(*) AS n, count(*) FILTER (ha.distance <= ex.distance) AS hit FROM ex LEFT JOIN ha USING (doc_id))" for k, t in SWEEP))
+@query("exp_tables", " UNION ALL ".join(f"(WITH {streams.constructed_sql()}, {scores_sql(Config(k=k, tables=max(SWEEP_L)), out='ha')}, {scores_sql(EXACT, out='ex')}, p AS (SELECT q, h, min(t) AS t FROM ha_t GROUP BY ALL), g AS (SELECT unnest({list(SWEEP_L)}) AS l), f AS (SELECT l, p.q, min(coalesce(distance, 1)) AS d FROM p JOIN g ON p.t <= l LEFT JOIN ha_d x ON x.q = p.q AND x.h = p.h GROUP BY ALL), c AS (SELECT l, count(*) AS pairs FROM p JOIN g ON p.t <= l GROUP BY l) SELECT {k} AS k, CAST(g.l AS INTEGER) AS tables, coalesce(any_value(c.pairs), 0) AS pairs, count(*) AS n, count(*) FILTER (coalesce(f.d, 1) <= ex.distance) AS hit FROM ex CROSS JOIN g LEFT JOIN f ON f.l = g.l AND f.q = ex.doc_id LEFT JOIN c ON c.l = g.l GROUP BY g.l)" for k in SWEEP_K))
 def exp_tables(spark, d):
-    """Recall and work of hashed search over bits and tables."""
-    docs = streams.constructed(spark, d)
-    near = lambda cfg: detect.scores(docs, cfg).select(F.col("doc_id").alias("q"), "distance", F.col("match_id").alias("h"))
-    exact, parts = near(EXACT), []
-    for k, t in SWEEP:
-        cfg = Config(k=k, tables=t)
-        queries, past = detect.vectors(docs, cfg)
-        q, h = (lsh.buckets(lsh.signatures(v, k, t, 1, ("batch_id", "doc_id")), ("batch_id",)) for v in (queries, past))
-        pairs = lsh.candidates(q, h, ("batch_id",)).agg(F.count("*").alias("pairs"))
-        parts.append(metrics.recall(near(cfg), exact).drop("recall").join(pairs).select(F.lit(k).alias("k"), F.lit(t).alias("tables"), "pairs", "n", "hit"))
+    """Recall and work of hashed search over bits and tables. The first tables of the widest index are the smaller indexes."""
+    docs, scratch = streams.constructed(spark, d), Scratch(spark, "sweep")
+    tf, held = detect.statistics(docs, EXACT, scratch)
+    exact = scratch.write(detect.search(docs, tf, held, EXACT).select(F.col("doc_id").alias("q"), F.col("distance").alias("d")), "exact")
+    every = scratch.write(detect.all_distances(docs, tf, held, EXACT), "distances")
+    limits = F.explode(F.array(*[F.lit(x) for x in SWEEP_L])).alias("tables")
+    parts = []
+    for k in SWEEP_K:
+        cfg = Config(k=k, tables=max(SWEEP_L))
+        met = detect.met_in_tables(*detect.hashed(tf, held, cfg), cfg).groupBy("q", "h").agg((F.min("table_no") + 1).alias("first"))
+        known = scratch.write(met.join(every, ["q", "h"], "left").withColumn("distance", F.coalesce("distance", F.lit(1.0))), f"met-{k}")
+        cells = known.select("q", "distance", "first", limits).filter(F.col("first") <= F.col("tables"))
+        pairs = cells.groupBy("tables").agg(F.count("*").alias("pairs"))
+        best = cells.groupBy("tables", "q").agg(F.min("distance").alias("f"))
+        both = exact.select("q", "d", limits).join(best, ["tables", "q"], "left")
+        counts = both.groupBy("tables").agg(F.count("*").alias("n"), F.count_if(F.coalesce("f", F.lit(1.0)) <= F.col("d")).alias("hit"))
+        parts.append(counts.join(pairs, "tables", "left").select(F.lit(k).alias("k"), "tables", F.coalesce("pairs", F.lit(0)).alias("pairs"), "n", "hit"))
     return union_all(parts)
 
 
-@query("exp_batch_size", " UNION ALL ".join(best_sql(s, Config(scheme=s, search="exact"), streams.constructed_sql(batch=b), f"'{s}' AS scheme, {b} AS batch,") for b in (10, 42, 1000) for s in ("merged", "additive")))
-def exp_batch_size(spark, d):
-    parts = []
-    for batch in (10, 42, 1000):
-        for scheme in ("merged", "additive"):
-            parts.append(best_of(scored(spark, d, Config(scheme=scheme, search="exact"), batch=batch)).select(F.lit(scheme).alias("scheme"), F.lit(batch).alias("batch"), "*"))
-    return union_all(parts)
+BATCHES = (1, 10, 100, 1_000_000)
 
 
-TABLES_FOR = math.ceil(math.log(0.1) / math.log(1 - (1 - math.acos(0.8) / math.pi) ** 4))
+@query("exp_batch_size", " UNION ALL ".join(best_sql(s, Config(scheme=s, search="exact"), streams.constructed_sql(batch=b), f"'{s}' AS scheme, {b} AS batch,") for b in BATCHES for s in ("static", "merged", "additive")))
+def exp_batch_size(spark, d):
+    """Schemes over the size of batches; with one document a batch the additive scheme is the static one."""
+    held = streams.parents(spark, d)
+    docs = streams.together({str(b): streams.constructed(spark, d, batch=b, held=held) for b in BATCHES})
+    out = best_of_streams(docs, {s: Config(scheme=s, search="exact") for s in ("static", "merged", "additive")})
+    return out.select("scheme", F.col("stream").cast("int").alias("batch"), "threshold", "p_miss", "p_fa", "cost")

@@ -8,11 +8,11 @@ from pyspark.sql import functions as F
 from ..functions.text import tokens
 from ..operators.detect import Config
 from ..sources import tables
+from ..sources.scratch import folder
 from ..sources.tables import table
 from ..streaming import detector
 from ..streaming.state import StateStore
 from . import streams
-from .relational import folder
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}

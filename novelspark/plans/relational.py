@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -12,6 +9,7 @@ from pyspark.sql import functions as F
 from ..functions import sql as macros
 from ..functions.text import tokens
 from ..sources import snippets, tables
+from ..sources.scratch import folder
 from ..sources.tables import table
 
 QUERIES: dict = {}
@@ -28,11 +26,6 @@ def query(name: str, sql: str | None = None):
     return keep
 
 
-def folder(spark: SparkSession, name: str) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="novelspark-")
-    return f"{base}/{name}-{uuid.uuid4().hex}"
-
-
 # ---- scans, sources, sinks -----------------------------------------------------------------------------------------------------
 
 

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from ..operators import detect, model
 from ..operators.detect import Config
+from ..sources.scratch import Scratch
 from .state import StateStore
 
 
@@ -48,11 +49,14 @@ class StreamDetector:
             new = held.update(tf, rows)
             self.state.publish(number, frequency=new.frequency, size=new.size)
             now = model.IncrementalModel(self.state.read(number, "frequency"), self.state.read(number, "size"))
-        idfs = now.idf(self.cfg.base)
-        raw = lambda t: model.raw_weights(t, idfs, self.cfg.tf_mode, self.cfg.base).select(F.lit(1).cast("bigint").alias("batch_id"), "doc_id", "term", "x")
+        # the history is the training: batch 0; the model of this batch weighs both sides
+        both = tf.withColumn("batch_id", F.lit(1).cast("bigint")).unionByName(self.train.withColumn("batch_id", F.lit(0).cast("bigint")))
+        held = now.idf(self.cfg.base).select(F.lit(1).cast("bigint").alias("batch_id"), "term", "idf", "cf")
         docs = rows.select("doc_id", F.lit(1).cast("bigint").alias("batch_id"))
-        scored = detect.search(docs, raw(tf), raw(self.train), self.cfg)
+        scratch = Scratch(self.spark, "stream")
+        scored = detect.search(docs, scratch.write(both.select("doc_id", "batch_id", "term", "tf"), "tf"), scratch.write(held, "models"), self.cfg)
         scored.write.mode("overwrite").parquet(f"{self.path}/scored/batch={number}")
+        scratch.drop("tf", "models")
 
     def run(self, source: DataFrame) -> None:
         """Takes what the source holds now, a micro-batch after the other; may be called again after a stop."""
