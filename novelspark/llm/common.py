@@ -1,68 +1,63 @@
-"""What the operators share: column checks and tables in the shared scratch folder."""
+"""What the operators share: column helpers, and tables in the shared scratch folder."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.scratch import Scratch
+
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local temporary one only where no cluster folder is set (tests)."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    return base or getattr(spark, "_novelspark_dir", None) or _local(spark)
+def text_of(column="text"):
+    """The text, empty where null."""
+    return F.coalesce(F.col(column), F.lit(""))
+
+
+def let(value, body):
+    """``body`` of a value that is computed once, also inside lambdas, where a plain expression would be computed each time."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
-def _local(spark: SparkSession) -> str:
-    spark._novelspark_dir = "file://" + tempfile.mkdtemp(prefix="novelspark-")
-    return spark._novelspark_dir
+def prefix(values, zero, step, block: int = 64):
+    """Array column with the fold by ``step`` (associative) of all earlier elements for each element.
 
+    Blocks of b elements are folded first: about n * b / 2 + (n / b)**2 / 2 steps, with b growing as the cube root of n.
+    """
 
-class Scratch:
-    """Tables of one operator call. They are written once and reread, which cuts lineage and survives lost executors."""
+    def inner(s, b):
+        n = F.size(s)
+        group = lambda i: F.floor(i / b).cast("int")
+        blocks = F.when(n > 0, F.sequence(F.lit(0), group(n - 1))).otherwise(F.array().cast("array<int>"))
+        folds = F.transform(blocks, lambda g: F.aggregate(F.slice(s, g * b + 1, b), zero, step))
+        before = let(folds, lambda t: F.transform(t, lambda _, g: F.aggregate(F.slice(t, F.lit(1), g), zero, step)))
+        return let(before, lambda e: F.transform(s, lambda _, i: F.aggregate(F.slice(s, group(i) * b + 1, i - group(i) * b), F.get(e, group(i)), step)))
 
-    def __init__(self, spark: SparkSession, name: str):
-        self.spark, self.base = spark, f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    return let(values, lambda s: let(F.greatest(F.lit(block), F.ceil(F.cbrt(F.size(s) * 2.0)).cast("int")), lambda b: inner(s, b)))
 
-    def write(self, df: DataFrame, name: str) -> DataFrame:
-        path = f"{self.base}/{name}"
-        df.write.mode("overwrite").parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)
 
-    def drop(self, *names: str) -> None:
-        jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
-        for name in names:
-            path = jvm.org.apache.hadoop.fs.Path(f"{self.base}/{name}")
-            path.getFileSystem(conf).delete(path, True)
+def prefix_sums(sizes):
+    """Array column with the sum of all earlier elements for each element."""
+    return prefix(sizes, F.lit(0).cast("long"), lambda a, x: a + x)
 
 
-def text_of(column="text"):
-    """The text, empty where null."""
-    return F.coalesce(F.col(column), F.lit(""))
+TEXT_BLOCK = 256
 
 
-def let(value, body):
-    """``body`` of a value that is computed once, also inside lambdas, where a plain expression would be computed each time."""
-    return F.get(F.transform(F.array(value), body), F.lit(0))
+def text_blocks(text):
+    """The text in pieces of TEXT_BLOCK code points."""
+    return F.regexp_extract_all(text, F.lit(rf"(?s).{{1,{TEXT_BLOCK}}}"), F.lit(0))
 
 
-def prefix_sums(sizes, block: int = 64):
-    """Array column with the sum of all earlier elements for each element, in about n * block / 2 + (n / block)**2 / 2 steps."""
-    zero = F.lit(0).cast("long")
-    add = lambda a, x: a + x
-    group = lambda i: F.floor(i / block).cast("int")
+def cut(blocks, start, size):
+    """``size`` code points from ``start`` of a text in blocks; it costs what is cut, not what stands before."""
+    first = F.floor(start / TEXT_BLOCK).cast("int")
+    number = F.floor((start + size - 1) / TEXT_BLOCK).cast("int") - first + 1
+    held = F.array_join(F.slice(blocks, first + 1, number), "")
+    return F.when(size > 0, F.substr(held, (start - first * TEXT_BLOCK + 1).cast("int"), size.cast("int"))).otherwise(F.lit(""))
 
-    def inner(s):
-        n = F.size(s)
-        blocks = F.when(n > 0, F.sequence(F.lit(0), group(n - 1))).otherwise(F.array().cast("array<int>"))
-        sums = F.transform(blocks, lambda b: F.aggregate(F.slice(s, b * block + 1, F.lit(block)), zero, add))
-        before = let(sums, lambda t: F.transform(t, lambda _, b: F.aggregate(F.slice(t, F.lit(1), b), zero, add)))
-        return let(before, lambda e: F.transform(s, lambda _, i: F.get(e, group(i)) + F.aggregate(F.slice(s, group(i) * block + 1, i - group(i) * block), zero, add)))
 
-    return let(sizes, inner)
+__all__ = ["Scratch", "cut", "documents", "let", "prefix", "prefix_sums", "text_blocks", "text_of"]

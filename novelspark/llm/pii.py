@@ -21,7 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, documents, let, prefix_sums, text_of
+from .common import Scratch, cut, documents, let, prefix, prefix_sums, text_blocks, text_of
 
 KINDS = ("email", "ip", "card", "phone")
 #: Expressions of the base with possessive repeats where these change no match, so that long runs cost no stack; and for
@@ -36,8 +36,8 @@ PATTERNS = {
 #: What a text must hold before the pattern is tried at all.
 HINTS = {"email": "@", "phone": "+"}
 THRESHOLD = 0.5
-#: Pairs of flagged words up to this number are broadcast; more are joined by shuffle.
-BROADCAST_ROWS = 200_000
+#: Tables of spans are broadcast up to this size (64 bytes a row and a span), larger ones joined by shuffle.
+BROADCAST_BYTES, ROW_BYTES = 64_000_000, 64
 TERM = r"\p{L}{3,}"
 GENERAL = {"email": "[EMAIL]", "ip": "[IP]", "card": "[CARD]", "phone": "[PHONE]", "term": "[TERM]"}
 
@@ -112,7 +112,7 @@ def distinct_texts(docs: DataFrame, text: str = "text") -> DataFrame:
     """(row, text): each text once. Only texts that have a copy are shuffled."""
     rows = docs.select(row_key(text).alias("row"), text_of(text).alias("text"))
     copied = Scratch(docs.sparkSession, "copied").write(rows.groupBy("row").agg(F.count("*").alias("c")).filter("c > 1").select("row"), "rows")
-    few = F.broadcast(copied) if copied.count() <= BROADCAST_ROWS else copied
+    few = F.broadcast(copied) if copied.count() * ROW_BYTES <= BROADCAST_BYTES else copied
     return rows.join(few, "row", "left_anti").unionByName(rows.join(few, "row", "left_semi").distinct())
 
 
@@ -121,17 +121,25 @@ def _words(text: Column) -> Column:
     return F.array_distinct(F.transform(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)), F.lower))
 
 
-def _blanked(text: Column, spans: Column) -> Column:
-    """The text with blanks in place of the spans, of the same length."""
-    begin = F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast("array<string>").alias("parts"))
+def _between(text: Column, spans: Column, put) -> Column:
+    """The text with ``put(span, end of all earlier spans)`` in place of each span; spans come by start and may overlap."""
+
+    def inner(both: Column) -> Column:
+        blocks, ends = both["blocks"], both["ends"]
+
+        def part(s: Column, i: Column) -> Column:
+            return let(F.get(ends, i), lambda at: F.concat(cut(blocks, at, s["start"] - at), put(s, at)))
 
-    def step(a: Column, s: Column) -> Column:
-        plain = F.substr(text, (a["at"] + 1).cast("int"), F.greatest(s["start"] - a["at"], F.lit(0)).cast("int"))
-        blank = F.repeat(F.lit(" "), F.greatest(s["end"] - F.greatest(a["at"], s["start"]), F.lit(0)).cast("int"))
-        return F.struct(F.greatest(a["at"], s["end"]).alias("at"), F.concat(a["parts"], F.array(plain, blank)).alias("parts"))
+        last = F.coalesce(F.array_max(F.transform(spans, lambda s: s["end"])), F.lit(0).cast("bigint"))
+        return F.concat(F.array_join(F.transform(spans, part), ""), cut(blocks, last, F.length(text).cast("bigint") - last))
 
-    whole = F.aggregate(spans, begin, step)
-    return let(whole, lambda w: F.concat(F.array_join(w["parts"], ""), F.substr(text, (w["at"] + 1).cast("int"), F.length(text))))
+    ends = prefix(F.transform(spans, lambda s: s["end"].cast("bigint")), F.lit(0).cast("bigint"), lambda a, x: F.greatest(a, x))
+    return let(F.struct(text_blocks(text).alias("blocks"), ends.alias("ends")), inner)
+
+
+def _blanked(text: Column, spans: Column) -> Column:
+    """The text with blanks in place of the spans, of the same length."""
+    return _between(text, spans, lambda s, at: F.repeat(F.lit(" "), F.greatest(s["end"] - F.greatest(at, s["start"]), F.lit(0)).cast("int")))
 
 
 def _placed_words(text: Column) -> Column:
@@ -162,25 +170,6 @@ def word_counts(texts: DataFrame, held: DataFrame) -> DataFrame:
     return words.groupBy("term").agg(F.sum("one").alias("documents"))
 
 
-def _placed_words(text: Column) -> Column:
-    """All words of a text, lower-cased, as (term, start, end)."""
-    # letters and other runs alternate, so their lengths add up to offsets
-    runs = F.regexp_extract_all(text, F.lit(r"\p{L}++|[^\p{L}]++"), F.lit(0))
-
-    def placed(pieces: Column) -> Column:
-        ends = lambda at: F.transform(pieces, lambda p, i: F.struct(F.lower(p).alias("term"), F.get(at, i).alias("start"), (F.get(at, i) + F.length(p)).alias("end")))
-        return let(prefix_sums(F.transform(pieces, lambda p: F.length(p).cast("long"))), ends)
-
-    return F.filter(let(runs, placed), lambda p: (p["end"] - p["start"] >= 3) & p["term"].rlike(r"^\p{L}"))
-
-
-def identifier_groups(base: DataFrame) -> DataFrame:
-    """(row, who, seen): the identifiers of each text, those with the same set of ``seen`` texts as one ``who``."""
-    values = base.select("row", F.explode(F.array_distinct(F.transform("spans", lambda s: s["value"]))).alias("value"))
-    sets = values.groupBy("value").agg(F.count("*").alias("seen"), F.bit_xor(F.xxhash64("row")).alias("a"), F.bit_xor(F.xxhash64("row", F.lit(1))).alias("b"))
-    return values.join(sets, "value").select("row", F.struct("seen", "a", "b").alias("who"), "seen").distinct()
-
-
 def disclosing_terms(pairs: DataFrame, counts: DataFrame, total: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(who, term, disclosure) of words that give identifiers away, from all (who, seen, term, together).
 
@@ -241,22 +230,22 @@ def with_spans(rows: DataFrame, thin: DataFrame, terms: DataFrame) -> DataFrame:
     rank = lambda s: s["start"] * 8 + F.array_position(order, s["kind"])
     sooner = lambda a, b: F.when(rank(a) < rank(b), -1).when(rank(a) > rank(b), 1).otherwise(0)
     found = found.select("row", "base", F.array_sort(F.concat("base", extra), sooner).alias("spans"))
-    few = thin.count() <= BROADCAST_ROWS  # then a group of equal texts stays where its rows are
-    return rows.join(F.broadcast(found) if few else found, "row", "left").withColumn("base", F.coalesce("base", none)).withColumn("spans", F.coalesce("spans", none))
+    found = _sized(found, "base", "spans")  # if broadcast, a group of equal texts stays where its rows are
+    return rows.join(found, "row", "left").withColumn("base", F.coalesce("base", none)).withColumn("spans", F.coalesce("spans", none))
+
+
+def _sized(found: DataFrame, *spans: str) -> DataFrame:
+    """The table, written, with a broadcast hint if its rows and spans together are small enough."""
+    found = Scratch(found.sparkSession, "found").write(found, "found")
+    cells = sum((F.size(c) for c in spans), F.lit(1))
+    size = found.agg(F.coalesce(F.sum(cells), F.lit(0)).alias("n")).first().n * ROW_BYTES
+    return F.broadcast(found) if size <= BROADCAST_BYTES else found
 
 
 def replaced(text: Column, spans: Column) -> Column:
     """The text with each span's general name in its place; a span that begins inside an earlier one only lengthens it."""
-    begin = F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast("array<string>").alias("parts"))
     name = lambda s: F.element_at(F.create_map(*[F.lit(x) for kv in GENERAL.items() for x in kv]), s["kind"])
-
-    def step(a: Column, s: Column) -> Column:
-        plain = F.substr(text, (a["at"] + 1).cast("int"), (s["start"] - a["at"]).cast("int"))
-        parts = F.when(s["start"] >= a["at"], F.concat(a["parts"], F.array(plain, name(s)))).otherwise(a["parts"])
-        return F.struct(F.greatest(a["at"], s["end"]).alias("at"), parts.alias("parts"))
-
-    whole = F.aggregate(spans, begin, step)
-    return F.when(F.size(spans) == 0, text).otherwise(let(whole, lambda w: F.concat(F.array_join(w["parts"], ""), F.substr(text, (w["at"] + 1).cast("int"), F.length(text)))))
+    return F.when(F.size(spans) == 0, text).otherwise(_between(text, spans, lambda s, at: F.when(s["start"] >= at, name(s)).otherwise(F.lit(""))))
 
 
 def sanitise(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
@@ -264,10 +253,9 @@ def sanitise(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD)
     own = docs.columns
     thin, terms = sanitise_spans(docs, text, threshold)
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in own]).alias("doc"), row_key(text).alias("row"))
-    found = with_spans(thin.select("row"), thin, terms).select("row", "spans")
     # most texts have no span: the few rows of spans go to the texts, not the texts to the spans
-    few = found.count() <= BROADCAST_ROWS
-    both = rows.join(F.broadcast(found) if few else found, "row", "left")
+    found = _sized(with_spans(thin.select("row"), thin, terms).select("row", "spans"), "spans")
+    both = rows.join(found, "row", "left")
     spans = F.coalesce("spans", F.array().cast("array<struct<start:bigint,end:bigint,kind:string>>"))
     new = both.withColumn("new", F.when(F.size(spans) == 0, F.col("doc")[text]).otherwise(replaced(F.col("doc")[text], spans)))
     change = {text: F.col("new"), "n_chars": F.coalesce(F.length("new"), F.lit(0)).cast("long")}
