@@ -1,7 +1,9 @@
 """Sharding by fixed virtual slots (operator 5, native).
 
-Records are hashed into some thousands of virtual slots; bytes and rows are summed for each slot; a versioned map from
-slots to shards balances the bytes. Rebalancing edits the map, never the hash, so rows only move with their slots.
+Records are hashed into some thousands of virtual slots; bytes and rows are summed for each slot. A stored, versioned map says
+which shard each slot belongs to: the first version deals slots evenly, and rebalancing by the bytes found writes an edited version
+beside it. Rows find their shard through the version read back. Rebalancing edits the map, never the hash, so rows only move with
+their slots.
 
 The slot histogram has ``n_slots`` rows whatever the input, which bounds both what the driver sees and what is broadcast.
 
@@ -18,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import documents
+from .common import Scratch, documents
 
 N_SLOTS = 4096
 
@@ -43,6 +45,45 @@ class SlotMap:
             heapq.heappush(heap, (load + loads[slot], slots + 1, shard))
         return cls(tuple(shard_of), n_shards)
 
+    @classmethod
+    def even(cls, n_slots: int, n_shards: int) -> SlotMap:
+        """The map before anything is known of the bytes."""
+        return cls(tuple(slot % n_shards for slot in range(n_slots)), n_shards)
+
+    def rebalanced(self, loads: list[int]) -> SlotMap:
+        """An edited map with near equal bytes; slots that need not move stay.
+
+        Shards above the mean give their largest slots that fit into the excess; the slots given go, heaviest first, to the lightest
+        shard; single moves from the fullest to the lightest shard then even out what is left.
+        """
+        new, now, target = list(self.shard_of), self.loads(loads), sum(loads) / self.n_shards
+        held: list[list[int]] = [[] for _ in range(self.n_shards)]
+        for slot in sorted(range(len(new)), key=lambda i: (loads[i], i)):
+            held[new[slot]].append(slot)
+        given = []
+        for shard in range(self.n_shards):
+            for slot in reversed(list(held[shard])):
+                if 0 < loads[slot] <= now[shard] - target:
+                    held[shard].remove(slot)
+                    given.append(slot)
+                    now[shard] -= loads[slot]
+        for slot in sorted(given, key=lambda i: (-loads[i], i)):
+            shard = min(range(self.n_shards), key=lambda s: (now[s], s))
+            new[slot], now[shard] = shard, now[shard] + loads[slot]
+            held[shard].append(slot)
+        while True:
+            full, light = max(range(self.n_shards), key=lambda s: (now[s], -s)), min(range(self.n_shards), key=lambda s: (now[s], s))
+            gap = now[full] - now[light]
+            fits = [x for x in held[full] if 0 < loads[x] < gap]
+            if not fits:
+                break
+            slot = min(fits, key=lambda x: (abs(gap - 2 * loads[x]), x))
+            held[full].remove(slot)
+            held[light].append(slot)
+            new[slot], now[full], now[light] = light, now[full] - loads[slot], now[light] + loads[slot]
+        moved = tuple(i for i in range(len(new)) if new[i] != self.shard_of[i])
+        return SlotMap(tuple(new), self.n_shards, self.version + 1, moved)
+
     def loads(self, loads: list[int]) -> list[int]:
         out = [0] * self.n_shards
         for slot, shard in enumerate(self.shard_of):
@@ -72,12 +113,16 @@ class SlotMap:
         return spark.createDataFrame(rows, "version int, slot int, shard int")
 
     def save(self, spark: SparkSession, path: str) -> None:
-        """Adds this version to the map's table at ``path``; earlier versions stay readable."""
-        self.table(spark).coalesce(1).write.mode("overwrite").parquet(f"{path}/version={self.version}")
+        """Adds this version to the map's table at ``path``; earlier versions stay, and a version is never written twice."""
+        self.table(spark).drop("version").coalesce(1).write.mode("error").parquet(f"{path}/version={self.version}")
 
     @classmethod
-    def load(cls, spark: SparkSession, path: str, version: int) -> SlotMap:
-        rows = spark.read.parquet(f"{path}/version={version}").select("slot", "shard").orderBy("slot").collect()
+    def load(cls, spark: SparkSession, path: str, version: int | None = None) -> SlotMap:
+        """A version of the stored map, or its last."""
+        table = spark.read.schema("slot int, shard int, version int").parquet(path)
+        if version is None:
+            version = table.agg(F.max("version")).first()[0]
+        rows = table.filter(F.col("version") == version).select("slot", "shard").orderBy("slot").collect()
         return cls(tuple(r.shard for r in rows), 1 + max(r.shard for r in rows), version)
 
 
@@ -115,16 +160,24 @@ def assign(slotted: DataFrame, key: str, slot_map: SlotMap, rows: list[int]) ->
     )
 
 
-def shard(docs: DataFrame, n_shards: int = 16, key: str = "doc_id", text: str = "text", n_slots: int = N_SLOTS) -> tuple[DataFrame, SlotMap]:
-    """Rows with shard and place, and the map that decided."""
+def shard(docs: DataFrame, n_shards: int = 16, key: str = "doc_id", text: str = "text", n_slots: int = N_SLOTS, path: str | None = None) -> tuple[DataFrame, SlotMap]:
+    """Rows with shard and place, and the map that decided: the stored one at ``path``, rebalanced by the bytes found.
+
+    Without a stored map one is begun, with slots dealt evenly as its first version.
+    """
+    spark = docs.sparkSession
+    if path is None:
+        path = f"{Scratch(spark, 'slots').base}/map"
+        SlotMap.even(n_slots, n_shards).save(spark, path)
     slotted = with_slots(docs, key, text, n_slots)
     sizes, rows = slot_histogram(slotted, n_slots)
-    slot_map = SlotMap.balanced(sizes, n_shards)
+    SlotMap.load(spark, path).rebalanced(sizes).save(spark, path)
+    slot_map = SlotMap.load(spark, path)
     return assign(slotted, key, slot_map, rows), slot_map
 
 
 def op5_virtual_slots(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows, _ = shard(documents(spark, sf_dir), 16)
+    rows, slot_map = shard(documents(spark, sf_dir), 16)
     return rows.select(
-        "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "virtual_slot"
+        "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "virtual_slot", F.lit(slot_map.version).alias("map_version")
     )
