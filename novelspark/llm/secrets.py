@@ -8,7 +8,7 @@ Kinds of the base: ``assign``, ``access``, ``hex``. The method adds ``forge`` (p
 these in six base-62 digits) and ``webtoken`` (three base64url parts whose first holds a JSON header with ``alg``).
 
 Defined cases: a null text is empty; offsets are in code points, ends exclusive; repeated rows are scanned each; an empty table
-gives no rows.
+gives no rows; a token header that is nested too deep to be read is none. Long runs of one alphabet are read once for each kind.
 """
 
 from __future__ import annotations
@@ -30,6 +30,7 @@ ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x2
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{24,}")
 FORGE = re.compile(r"gh[pousr]_([A-Za-z0-9]{30})([A-Za-z0-9]{6})(?![A-Za-z0-9])")
+TOKEN_RUN = re.compile(r"[A-Za-z0-9_-]+")
 WEBTOKEN = re.compile(r"(eyJ[A-Za-z0-9_-]+)\.(eyJ[A-Za-z0-9_-]+)\.[A-Za-z0-9_-]+")
 KEYWORDS = {
     "password": "assign", "passwd": "assign", "secret": "assign", "token": "assign", "api_key": "assign", "apikey": "assign", "akia": "access",
@@ -56,7 +57,7 @@ def forge_checksum_holds(match: re.Match) -> bool:
 def webtoken_header_holds(match: re.Match) -> bool:
     try:
         head = json.loads(base64.urlsafe_b64decode(match[1] + "=" * (-len(match[1]) % 4)))
-    except ValueError:
+    except (ValueError, RecursionError):  # no JSON, or nested too deep for a header
         return False
     return isinstance(head, dict) and "alg" in head
 
@@ -102,6 +103,8 @@ def scan(text: str | None) -> list[tuple[int, int, str]]:
             past[kind] = match.end()
             if holds(match):
                 found.append((start, match.end(), kind))
+        elif kind == "webtoken":  # whether a run is a header hangs on what follows it, so no later start in it does better
+            past[kind] = TOKEN_RUN.match(text, start).end()
     found += [(m.start(), m.end(), "hex") for m in HEX.finditer(text)]
     return sorted(found, key=lambda x: (x[0], KINDS.index(x[2])))
 
