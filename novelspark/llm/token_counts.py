@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import documents
+from .common import Scratch, documents
 
 BLOCK = 1024
 
@@ -40,10 +40,16 @@ def histogram(docs: DataFrame, text: str = "text", path: str | None = None) -> D
     return lengths(docs, text, path).groupBy("n_tokens").agg(F.sum("n_docs").alias("n_docs"))
 
 
+def stored(docs: DataFrame, text: str = "text", path: str | None = None) -> DataFrame:
+    """The histogram as a written table: whoever reads it twice does not encode twice."""
+    return Scratch(docs.sparkSession, "lengths").write(histogram(docs, text, path), "histogram")
+
+
 def with_suffix_sums(hist: DataFrame) -> DataFrame:
     """For each length L: documents and tokens of length L or more, and the total when all texts are cut to L tokens.
 
-    The sums go over blocks of lengths first, so no task gets the whole histogram row by row.
+    The sums go over blocks of lengths first, so no task gets the whole histogram row by row. The histogram is read twice: give a
+    stored one.
     """
     rows = hist.withColumn("tokens", F.col("n_tokens") * F.col("n_docs")).withColumn("block", F.floor(F.col("n_tokens") / BLOCK))
     blocks = rows.groupBy("block").agg(F.sum("n_docs").alias("block_docs"), F.sum("tokens").alias("block_tokens"))
@@ -93,4 +99,4 @@ def quantile(table: DataFrame, share: float) -> DataFrame:
 
 
 def op10_length_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return with_suffix_sums(histogram(documents(spark, sf_dir)))
+    return with_suffix_sums(stored(documents(spark, sf_dir)))
