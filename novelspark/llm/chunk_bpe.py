@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, documents
+from .common import Scratch, documents, slices
 
 #: A chunk ends where the rolling hash over this many bytes has its low bits zero; 2**CHUNK_BITS bytes on average.
 ROLL_BYTES, CHUNK_BITS = 32, 11
@@ -222,7 +222,7 @@ def repeated_chunks(docs: DataFrame, text: str = "text", bits: int = CHUNK_BITS)
     """The bitmap, as bytes, in which the digest of every chunk that occurs twice or more has its bit set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches, 0):
             found: dict[bytes, int] = {}
             for t in batch.column(0).to_pylist():
                 for c in chunks(t or "", bits):
@@ -261,46 +261,37 @@ def _made(docs: DataFrame, key: str, text: str, path: str | None, bits: int, fin
         """Step 0: finished rows. Step 1: texts to be put together. Step 2: a place (row, pos) and its chunk. Step 3: a chunk's text."""
         from pyspark import TaskContext
 
-        from .bpe import lots
-
         held, number, given = chunk_encoder(path, bits), TaskContext.get().partitionId() << 33, set()
-        for batch in batches:
-            keys, at = batch.column(0), 0
-            for lot in lots(batch.column(1).to_pylist()):
-                steps: list[tuple] = []  # step, row, pos, digest, text, place of the key
-                plain: list[int] = []
-                for i, t in enumerate(lot):
-                    names_of = [] if not t or held.special in t else [(p, c, digest(c)) for p, c in enumerate(chunks(t, bits))]
-                    marked = [x for x in names_of if is_marked(bitmap.value, x[2])]
-                    if not marked:
-                        plain.append(i)
-                        continue
-                    number += 1
-                    steps.append((1, number, -1, None, t, at + i))
-                    for p, c, d in marked:
-                        steps.append((2, number, p, d, None, None))
-                        if d not in given:
-                            given.add(d)
-                            steps.append((3, None, None, d, c, None))
-                done = [finish(held, ids) for ids in held.units.encode([lot[i] or "" for i in plain])]
-                steps += [(0, None, None, None, None, at + i) for i in plain]
-                cells = [pa.array([s[k] for s in steps], type=types.field(k).type) for k in range(5)]
-                blank = len(steps) - len(plain)
-                made = [pa.array([None] * blank + [d[k] for d in done], type=made_types[k]) for k in range(len(names))]
-                yield pa.RecordBatch.from_arrays([*cells, keys.take(pa.array([s[5] for s in steps], pa.int64())), *made], names=[*types.names, "key", *names])
-                at += len(lot)
+        for batch in slices(batches):
+            texts = batch.column(1).to_pylist()
+            steps: list[tuple] = []  # step, row, pos, digest, text, place of the key
+            plain: list[int] = []
+            for i, t in enumerate(texts):
+                named = [] if not t or held.special in t else [(p, c, digest(c)) for p, c in enumerate(chunks(t, bits))]
+                marked = [x for x in named if is_marked(bitmap.value, x[2])]
+                if not marked:
+                    plain.append(i)
+                    continue
+                number += 1
+                steps.append((1, number, -1, None, t, i))
+                for p, c, d in marked:
+                    steps.append((2, number, p, d, None, None))
+                    if d not in given:
+                        given.add(d)
+                        steps.append((3, None, None, d, c, None))
+            done = [finish(held, ids) for ids in held.units.encode([texts[i] or "" for i in plain])]
+            steps += [(0, None, None, None, None, i) for i in plain]
+            cells = [pa.array([s[k] for s in steps], type=types.field(k).type) for k in range(5)]
+            blank = len(steps) - len(plain)
+            made = [pa.array([None] * blank + [d[k] for d in done], type=made_types[k]) for k in range(len(names))]
+            yield pa.RecordBatch.from_arrays([*cells, batch.column(0).take(pa.array([s[5] for s in steps], pa.int64())), *made], names=[*types.names, "key", *names])
 
     def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from .bpe import lots
-
         held = chunk_encoder(path, bits)
-        for batch in batches:
-            at = 0
-            for lot in lots(batch.column(1).to_pylist()):
-                known = held.parts(lot)
-                cells = [pa.array([getattr(c, f).astype("<u4").tobytes() for c in known], pa.binary()) for f in ("ids", "piece_at", "id_at")]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(lot)), *cells], names=["digest", "ids", "piece_at", "id_at"])
-                at += len(lot)
+        for batch in slices(batches):
+            known = held.parts(batch.column(1).to_pylist())
+            cells = [pa.array([getattr(c, f).astype("<u4").tobytes() for c in known], pa.binary()) for f in ("ids", "piece_at", "id_at")]
+            yield pa.RecordBatch.from_arrays([batch.column(0), *cells], names=["digest", "ids", "piece_at", "id_at"])
 
     def together(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows come sorted by row and pos: a text, then its known chunks. A text is put together when the next begins."""

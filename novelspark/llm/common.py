@@ -12,6 +12,21 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def slices(batches, column: int = 1, size: int = 2_000_000):
+    """Arrow batches in parts of at most ``size`` bytes of text (a longer text is a part of its own), so that a worker holds little."""
+    import numpy as np
+    import pyarrow.compute as pc
+
+    for batch in batches:
+        sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        ends, at = np.cumsum(sizes), 0
+        while at < batch.num_rows:
+            before = int(ends[at - 1]) if at else 0
+            end = max(at + 1, int(np.searchsorted(ends, before + size, side="right")))
+            yield batch.slice(at, end - at)
+            at = end
+
+
 def text_of(column="text"):
     """The text, empty where null."""
     return F.coalesce(F.col(column), F.lit(""))
@@ -60,4 +75,4 @@ def cut(blocks, start, size):
     return F.when(size > 0, F.substr(held, (start - first * TEXT_BLOCK + 1).cast("int"), size.cast("int"))).otherwise(F.lit(""))
 
 
-__all__ = ["Scratch", "cut", "documents", "let", "prefix", "prefix_sums", "text_blocks", "text_of"]
+__all__ = ["Scratch", "cut", "documents", "let", "prefix", "prefix_sums", "slices", "text_blocks", "text_of"]

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents
+from .common import documents, slices
 
 WINDOW = 1024
 END_ID = 0
@@ -147,7 +147,7 @@ def pack(docs: DataFrame, key: str = "doc_id", text: str = "text", window: int =
             numbers[4] = [first + x for x in numbers[4]]
             return pa.RecordBatch.from_arrays([pa.array(names, type=key_type), *(pa.array(x, type=pa.int64()) for x in numbers)], names=COLUMNS)
 
-        for batch in batches:
+        for batch in slices(batches):
             rows: list[tuple] = []
             key_type = batch.column(0).type
             for name, ids in zip(batch.column(0).to_pylist(), encoder(path).encode(batch.column(1).to_pylist()), strict=True):

@@ -11,12 +11,12 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import Scratch, documents
+from .common import Scratch, documents, slices
 
 BLOCK = 1024
 
@@ -24,16 +24,16 @@ BLOCK = 1024
 def lengths(docs: DataFrame, text: str = "text", path: str | None = None) -> DataFrame:
     """Histogram of each task's documents: (n_tokens, n_docs), a row for each length that occurs."""
 
-    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from .bpe import encoder
 
         found: dict[int, int] = {}
-        for batch in batches:
-            for n in encoder(path).count(batch["text"].tolist()).tolist():
+        for batch in slices(batches, 0):
+            for n in encoder(path).count(batch.column(0).to_pylist()).tolist():
                 found[n] = found.get(n, 0) + 1
-        yield pd.DataFrame({"n_tokens": pd.Series(found.keys(), dtype="int64"), "n_docs": pd.Series(found.values(), dtype="int64")})
+        yield pa.RecordBatch.from_arrays([pa.array(found.keys(), pa.int64()), pa.array(found.values(), pa.int64())], names=["n_tokens", "n_docs"])
 
-    return docs.select(F.col(text).alias("text")).mapInPandas(count, "n_tokens long, n_docs long")
+    return docs.select(F.col(text).alias("text")).mapInArrow(count, "n_tokens long, n_docs long")
 
 
 def histogram(docs: DataFrame, text: str = "text", path: str | None = None) -> DataFrame:
