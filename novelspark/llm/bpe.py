@@ -76,7 +76,7 @@ def lots(texts: list[str | None], chars: int = LOT_CHARS):
 
 
 class UnitEncoder:
-    def __init__(self, path: str | None = None, max_units: int = 500_000):
+    def __init__(self, path: str | None = None, max_units: int = 250_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
