@@ -109,21 +109,32 @@ def measured(docs: DataFrame, text: str = "text") -> DataFrame:
     return out.drop("_w", "_l", "_h", "_f", "_b")
 
 
+def _verdict(m: Column, max_lost_percent: int) -> tuple[Column, Column]:
+    """``base_failed`` and ``kept`` from the counts of ``measured``."""
+    failed = (m["n_words"] < MIN_WORDS) | (m["n_repeat_words"] * 100 > m["n_words"] * MAX_REPEAT_PERCENT)
+    lost = (m["n_words"] - m["n_left"]) * 100 > m["n_words"] * max_lost_percent
+    return failed, ~failed & ~lost
+
+
 def verdicts(docs: DataFrame, text: str = "text", max_lost_percent: int = MAX_LOST_PERCENT) -> DataFrame:
     """Adds the counts, ``base_failed``, ``kept``, ``n_left`` and ``clean_text``."""
     m = F.col("_m")
-    out = measured(docs, text).select("*", "_m.n_words", "_m.word_chars", "_m.n_symbols", "_m.n_dup_lines", "_m.n_repeat_words", "_m.n_left", m["text"].alias("clean_text"))
-    failed = (F.col("n_words") < MIN_WORDS) | (F.col("n_repeat_words") * 100 > F.col("n_words") * MAX_REPEAT_PERCENT)
-    lost = (F.col("n_words") - F.col("n_left")) * 100 > F.col("n_words") * max_lost_percent
-    return out.withColumn("base_failed", failed).withColumn("kept", ~failed & ~lost).drop("_m")
+    failed, kept = _verdict(m, max_lost_percent)
+    counts = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_left")
+    return measured(docs, text).select("*", *[m[c].alias(c) for c in counts], m["text"].alias("clean_text"), failed.alias("base_failed"), kept.alias("kept")).drop("_m")
+
 
+def clean(docs: DataFrame, text: str = "text", max_lost_percent: int = MAX_LOST_PERCENT) -> DataFrame:
+    """Kept documents with the columns they came with; their text is that of the lines left, ``n_chars`` its length.
 
-def clean(docs: DataFrame, text: str = "text") -> DataFrame:
-    """Kept documents with the columns they came with; their text is that of the lines left, ``n_chars`` its length."""
+    The verdict comes out of a generator, past which no filter moves, so that the optimiser cannot evaluate all counts a second time
+    within the filter, once for each of their uses.
+    """
     own = docs.columns
     inner = docs.select(F.struct(*[F.col(f"`{c}`") for c in own]).alias("row"), F.col(f"`{text}`").alias("body"))
-    left = verdicts(inner, "body").filter("kept")
-    new = {text: F.col("clean_text"), "n_chars": F.length("clean_text").cast("long")}
+    judged = measured(inner, "body").select("row", F.explode(F.array("_m")).alias("v"))
+    left = judged.filter(_verdict(F.col("v"), max_lost_percent)[1])
+    new = {text: F.col("v")["text"], "n_chars": F.length(F.col("v")["text"]).cast("long")}
     return left.select(*[new[c].alias(c) if c in new else F.col("row")[c].alias(c) for c in own])
 
 
