@@ -9,13 +9,16 @@ of the other; so their *prefixes* of n - ceil(t n) + k tokens share at least k t
   g + 1 tokens are shared, and two of these then lie in one group (or one shared token is rare). g depends on the size level of
   the set; sets near the next level are indexed for it as well. A set whose plain prefix is all rare needs no extension.
 
-The class comes from a counter sketch over all documents of a fixed number of counters. It can only overestimate, so a rare token's
-list of documents is short for certain, and any class boundary gives right results.
+The class comes from a counter sketch over all documents with a fixed number of counters. A counter holds its tokens and the noise of
+others; the noise is about the median counter, so a token is frequent if its counter exceeds the median by a constant and some
+deviations. Rare lists therefore grow with the square root of the noise, not with the corpus. Any class boundary gives right results.
 
-Candidates first meet a bound: every set has a bitmap of the parities of its hashed tokens, about a bit a token, and two sets differ in
-at least as many tokens as their bitmaps differ in bits. What is left is verified on the texts. No list of an index is ever expanded into all its pairs: equal sets are one representative from the
-start; each list first pairs its members with its first one; members of one component need no more comparison, so only lists
-that still span several components pair the members outside the most common component with the others.
+Candidates first meet a bound: every set has a bitmap of the parities of its hashed tokens, two to four bits a token, and two sets differ in
+at least as many tokens as their bitmaps differ in bits. What is left is verified on the texts. No list of an index is ever expanded
+into all its pairs: equal sets are one representative from the start; each list first pairs its members with its first one; members of
+one component need no more comparison, so only lists that still span several components compare the members outside the most common
+component with the others. Members without any possible partner in their list, by size and place, go first; the others get their
+bitmaps, lists of the same members are compared once, as arrays and block by block, and only pairs that the bitmaps leave become rows.
 
 Defined cases: null texts and texts without a word have an empty set and no links; fewer words than a shingle make one shingle of all; a null id
 takes no part; rows that repeat an id count as one document (of the smallest text); an empty table gives no rows.
@@ -23,6 +26,7 @@ takes no part; rows that repeat an id count as one document (of the smallest tex
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 from math import ceil
 
@@ -31,13 +35,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, documents
+from .common import Scratch, documents, slices
 
 SHINGLE, PERCENT = 5, 80
-#: Counters of the frequency sketch; 2 MB whatever the input.
-SKETCH_BITS = 20
-#: A token is frequent if its counter is above this and above MEAN_FACTOR times the mean counter.
-FREQUENT, MEAN_FACTOR = 64, 4
+#: Counters of the frequency sketch; 4 MB of classes whatever the input.
+SKETCH_BITS = 22
+#: A token is frequent if its counter is above the median by more than this and by more than so many square roots of the median.
+FREQUENT, DEVIATIONS = 64, 8
+#: Members of a list that are compared as one block, and bytes of bitmap differences that a comparison holds at once.
+LIST_BLOCK, COMPARE_BYTES = 512, 4_000_000
+#: Pairs of members whose sizes and places are looked at in one step.
+PAIRS_AT_ONCE = 1 << 20
 #: Partners of one document that a task verifies against one copy of its text.
 VERIFY_BLOCK = 128
 #: Tables of ids up to this number are broadcast.
@@ -62,11 +70,21 @@ def _mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(31))
 
 
+#: Words whose shingles are hashed in one step: a very long text costs no more memory than its words.
+WORDS_AT_ONCE = 20_000
+
+
 def shingles(text: str | None, size: int = SHINGLE) -> np.ndarray:
     """Sorted 64-bit hashes of the distinct word shingles of a text."""
     words = (text or "").encode().lower().split()  # A-Z lower-cased; split at blanks 0x20 and 0x09-0x0D
     if not words:
         return np.zeros(0, dtype=np.uint64)
+    # a shingle's hash does not depend on its place, so each part of the text can be hashed by itself
+    parts = [_hashes(words[at : at + WORDS_AT_ONCE + size - 1], size) for at in range(0, max(1, len(words) - size + 1), WORDS_AT_ONCE)]
+    return np.unique(np.concatenate(parts) if len(parts) > 1 else parts[0])
+
+
+def _hashes(words: list[bytes], size: int) -> np.ndarray:
     data = np.frombuffer(b" ".join(words) + b" ", dtype=np.uint8)
     ups, downs = _power_tables(len(data) + 1)
     sums = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum(BYTE_VALUES[data] * ups[: len(data)], dtype=np.uint64)])
@@ -74,7 +92,7 @@ def shingles(text: str | None, size: int = SHINGLE) -> np.ndarray:
     starts = np.concatenate([[0], ends[:-1]])
     n = max(1, len(ends) - size + 1)
     first, last = starts[:n], ends[min(size, len(ends)) - 1 :][:n]
-    return np.unique(_mixed((sums[last] - sums[first]) * downs[first]))
+    return _mixed((sums[last] - sums[first]) * downs[first])
 
 
 def plain_prefix(n: int, percent: int = PERCENT) -> int:
@@ -114,8 +132,8 @@ def signatures(tokens: np.ndarray, klass: np.ndarray, percent: int = PERCENT) ->
 
 
 def parity_bits(tokens: np.ndarray) -> bytes:
-    """Parities of the tokens that fall on each of about as many bits as there are tokens (a power of two, 64 at least)."""
-    width = max(64, 1 << (len(tokens) - 1).bit_length()) if len(tokens) else 64
+    """Parities of the tokens that fall on each of two to four times as many bits as there are tokens (a power of two, 64 at least)."""
+    width = max(64, 2 << (len(tokens) - 1).bit_length()) if len(tokens) else 64
     at = (tokens & np.uint64(width - 1)).astype(np.int64)
     return np.packbits((np.bincount(at, minlength=width) & 1).astype(np.uint8)).tobytes()
 
@@ -138,9 +156,9 @@ def _digests(docs: DataFrame, size: int, bits: int) -> DataFrame:
     parts = 64
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros(1 << bits, dtype=np.uint32)
+        counts = np.zeros(1 << bits, dtype=np.uint8)
         names = ["kind", "id", "n", "a", "b", "bits", "part", "counts"]
-        for batch in batches:
+        for batch in slices(batches):
             ns, a, b, bitmaps, pending = [], [], [], [], []
             for text in batch.column(1).to_pylist():
                 s = shingles(text, size)
@@ -149,8 +167,8 @@ def _digests(docs: DataFrame, size: int, bits: int) -> DataFrame:
                 b.append(int(np.sum(_mixed(s + np.uint64(1)), dtype=np.uint64)) if len(s) else 0)
                 bitmaps.append(parity_bits(s))
                 pending.append(s)
-            at = (np.concatenate(pending) >> np.uint64(64 - bits)).astype(np.int64) if pending else np.zeros(0, dtype=np.int64)
-            counts += np.bincount(at, minlength=1 << bits).astype(np.uint32)
+            at, more = np.unique(np.concatenate(pending) >> np.uint64(64 - bits), return_counts=True)
+            counts[at] = np.minimum(counts[at] + more, 255)
             rows = len(ns)
             signed = lambda x: pa.array(np.array(x, dtype=np.uint64).view(np.int64))
             yield pa.RecordBatch.from_arrays(
@@ -159,10 +177,10 @@ def _digests(docs: DataFrame, size: int, bits: int) -> DataFrame:
         if not counts.any():
             return
         pieces = []
-        for piece in np.split(np.minimum(counts, 65535).astype("<u2"), parts):
+        for piece in np.split(counts, parts):
             at = np.flatnonzero(piece)
             # few counters in use: their places and values; else all of them
-            pieces.append(b"s" + at.astype("<u2").tobytes() + piece[at].tobytes() if len(at) * 4 < piece.nbytes else b"d" + piece.tobytes())
+            pieces.append(b"s" + at.astype("<u2").tobytes() + piece[at].tobytes() if len(at) * 3 < piece.nbytes else b"d" + piece.tobytes())
         none = pa.nulls(parts, pa.int64())
         yield pa.RecordBatch.from_arrays([pa.array([1] * parts, pa.int32()), none, none, none, none, pa.nulls(parts, pa.binary()), pa.array(range(parts), pa.int32()), pa.array(pieces, pa.binary())], names=names)
 
@@ -170,16 +188,17 @@ def _digests(docs: DataFrame, size: int, bits: int) -> DataFrame:
 
 
 def _merged_sketch(pieces: DataFrame, bits: int) -> np.ndarray:
-    """Counters summed over all tasks; parts are merged in a tree, so no task reads more than a bounded number of pieces."""
+    """Counters summed over all tasks (a task tells up to 255 of each); parts are merged in a tree, so no task reads more than a bounded
+    number of pieces."""
     width = (1 << bits) // 64
 
     def values(piece: bytes) -> np.ndarray:
         out = np.zeros(width, dtype=np.uint32)
         if piece[:1] == b"s":
-            at, n = np.frombuffer(piece[1:], dtype="<u2"), (len(piece) - 1) // 4
-            out[at[:n]] = at[n:]
+            n = (len(piece) - 1) // 3
+            out[np.frombuffer(piece[1 : 1 + 2 * n], dtype="<u2")] = np.frombuffer(piece[1 + 2 * n :], dtype="u1")
         else:
-            out[:] = np.frombuffer(piece[1:], dtype="<u2" if piece[:1] == b"d" else "<u4")
+            out[:] = np.frombuffer(piece[1:], dtype="u1" if piece[:1] == b"d" else "<u4")
         return out
 
     def run(key, table):
@@ -204,7 +223,8 @@ def _merged_sketch(pieces: DataFrame, bits: int) -> np.ndarray:
 
 def classes(counters: np.ndarray) -> np.ndarray:
     """One byte a counter: 0 for rare, else 1 + the power of two by which it exceeds the bound."""
-    bound = max(FREQUENT, MEAN_FACTOR * float(counters.mean()))
+    noise = float(np.median(counters))
+    bound = noise + max(FREQUENT, DEVIATIONS * noise**0.5)
     return np.where(counters <= bound, 0, 1 + np.floor(np.log2(np.maximum(counters, 1) / bound))).astype(np.uint8)
 
 
@@ -213,7 +233,7 @@ def _index(docs: DataFrame, klass, size: int, percent: int, bits: int) -> DataFr
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = klass.value
-        for batch in batches:
+        for batch in slices(batches):
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             sigs, owners, sizes, places = [], [], [], []
             for name, text in zip(ids.tolist(), batch.column(1).to_pylist(), strict=True):
@@ -225,9 +245,6 @@ def _index(docs: DataFrame, klass, size: int, percent: int, bits: int) -> DataFr
                 places.append(at)
                 owners.append(np.full(len(keys), name, dtype=np.int64))
                 sizes.append(np.full(len(keys), len(s), dtype=np.int32))
-                if sum(map(len, sigs[-256:])) > 200_000:
-                    yield _rows(sigs, owners, sizes, places)
-                    sigs, owners, sizes, places = [], [], [], []
             if sigs:
                 yield _rows(sigs, owners, sizes, places)
 
@@ -295,6 +312,131 @@ def bounded(pairs: DataFrame, bitmaps: DataFrame, percent: int) -> DataFrame:
     return pairs.join(x, "a").join(y, "b").select("a", "b", "na", "bitsa", "nb", "bitsb").mapInArrow(run, "a long, b long")
 
 
+def _folded(rows: list[bytes], width: int) -> np.ndarray:
+    """Bitmaps of ``width`` or twice as many bits, folded to ``width``, as rows of 64-bit words."""
+    out = np.empty((len(rows), width // 64), dtype=np.uint64)
+    for i, row in enumerate(rows):
+        words = np.frombuffer(row, dtype=np.uint64)
+        out[i] = words if len(words) == out.shape[1] else words[: out.shape[1]] ^ words[out.shape[1] :]
+    return out
+
+
+def near_members(n: np.ndarray, comp: np.ndarray, bits: list[bytes], percent: int, left: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Places (i, j) of members of different components whose sizes and bitmaps leave the threshold possible. With ``left``, only pairs
+    of one of the first ``left`` members and one of the others.
+
+    At the threshold the sizes differ by less than a factor of two, so bitmaps differ in width by a factor of two at most.
+    """
+    widths = np.fromiter((8 * len(b) for b in bits), dtype=np.int64, count=len(bits))
+    out_i, out_j = [], []
+    for width in np.unique(widths).tolist():
+        narrow, wide = np.flatnonzero(widths == width), np.flatnonzero(widths == 2 * width)
+        members = np.concatenate([narrow, wide])
+        words = _folded([bits[i] for i in members.tolist()], width)
+        step = max(1, COMPARE_BYTES // max(1, words.nbytes))
+        for at in range(0, len(narrow), step):
+            some = narrow[at : at + step]
+            far = np.bitwise_count(words[at : at + len(some), None, :] ^ words[None, :, :]).sum(axis=2, dtype=np.int64)
+            x, y = n[some][:, None], n[members][None, :]
+            keep = (far * (100 + percent) <= (x + y) * (100 - percent)) & (np.minimum(x, y) * 100 >= np.maximum(x, y) * percent)
+            keep &= comp[some][:, None] != comp[members][None, :]
+            keep &= (np.arange(len(members)) >= len(narrow))[None, :] | (some[:, None] < members[None, :])  # equal widths: each pair once
+            if left is not None:
+                keep &= (some < left)[:, None] != (members < left)[None, :]
+            r, c = np.nonzero(keep)
+            out_i.append(some[r])
+            out_j.append(members[c])
+    none = np.zeros(0, dtype=np.int64)
+    return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (none, none)
+
+
+def with_partner(starts: np.ndarray, n: np.ndarray, pos: np.ndarray, comp: np.ndarray, percent: int) -> np.ndarray:
+    """Marks members of lists (``starts``: where each begins, and the end) that have a member of another component in their list whose
+    size and place leave the threshold possible."""
+    sizes = np.diff(starts)
+    out = np.zeros(len(n), dtype=bool)
+    work = np.concatenate([[0], np.cumsum(sizes * sizes)])
+    at = 0
+    while at < len(sizes):  # lots of lists with a bounded number of pairs
+        end = max(at + 1, int(np.searchsorted(work, work[at] + PAIRS_AT_ONCE, side="right")) - 1)
+        first, last = starts[at], starts[end]
+        own = np.repeat(sizes[at:end], sizes[at:end])  # for each member the size of its list
+        i = np.repeat(np.arange(first, last), own)
+        j = np.arange(len(i)) - np.repeat(np.cumsum(own) - own, own) + np.repeat(np.repeat(starts[at:end], sizes[at:end]), own)
+        x, y = n[i], n[j]
+        keep = (comp[i] != comp[j]) & (np.minimum(x, y) * 100 >= np.maximum(x, y) * percent)
+        keep &= np.minimum(x - pos[i], y - pos[j]) * (100 + percent) >= (x + y) * percent
+        out[i[keep]] = True
+        at = end
+    return out
+
+
+def across(wide: DataFrame, bitmaps: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
+    """Pairs (a, b) of lists (sig, id, n, pos, comp, main, w), w the list's length, that are in different components and may link.
+
+    Lists of at most a block are rows. First, without bitmaps, members go that have no possible partner in their list by size and place; of
+    lists with the same members left one stays; then bitmaps decide. Longer lists, of which also one stays for the same members, are dealt
+    into blocks with bitmaps; each block outside the main component meets the blocks of the main one and, once, every other block
+    outside it.
+    """
+    short, long = wide.filter(F.col("w") <= LIST_BLOCK), wide.filter(F.col("w") > LIST_BLOCK)
+    lists = short.groupBy("sig").agg(F.collect_list(F.struct("id", "n", "pos", "comp")).alias("m")).select("m")
+
+    def prune(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        given = set()
+        for batch in batches:
+            column = batch.column(0)
+            starts, cells = column.offsets.to_numpy().astype(np.int64), column.values
+            ids, n, pos, comp = (cells.field(k).to_numpy().astype(np.int64) for k in range(4))
+            left = with_partner(starts, n, pos, comp, percent)
+            counts = np.add.reduceat(np.append(left, False), starts[:-1]) if len(starts) > 1 else []
+            rows: list[tuple] = []
+            for k in np.flatnonzero(counts):
+                at = np.flatnonzero(left[starts[k] : starts[k + 1]]) + starts[k]
+                at = at[np.argsort(ids[at])]
+                name = hashlib.blake2b(ids[at].tobytes(), digest_size=16).digest()
+                if name not in given:
+                    given.add(name)
+                    rows.append((name, ids[at], comp[at]))
+            if rows:
+                ends = np.cumsum([0] + [len(r[1]) for r in rows])
+                members = pa.StructArray.from_arrays([pa.array(np.concatenate([r[k] for r in rows])) for k in (1, 2)], names=["id", "comp"])
+                yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.binary()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), members)], names=["list", "m"])
+
+    kept = lists.mapInArrow(prune, "list binary, m array<struct<id:bigint,comp:bigint>>").groupBy("list").agg(F.first("m").alias("m"))
+    kept = scratch.write(kept, "kept").select("list", F.explode("m").alias("m")).select("list", "m.id", "m.comp")
+    member = F.struct("id", "n", "bits", "comp").alias("m")
+    few = kept.join(bitmaps, "id").groupBy("list").agg(F.collect_list(member).alias("members"))
+    few = few.select("members", F.lit(None).cast(few.schema["members"].dataType).alias("others"))
+
+    same = long.groupBy("sig", "w", "main").agg(F.bit_xor(F.xxhash64("id")).alias("x"), F.bit_xor(F.xxhash64("id", F.lit(1))).alias("y"))
+    same = same.groupBy("w", "main", "x", "y").agg(F.min("sig").alias("sig")).select("sig")
+    rows = long.join(same, "sig").select("sig", "id", "comp", "main", "w").join(bitmaps, "id").withColumn("side", F.col("comp") != F.col("main"))
+    block = F.pmod(F.xxhash64("id"), F.ceil(F.col("w") / LIST_BLOCK)).cast("int").alias("block")
+    packed = rows.select("sig", "side", block, member).groupBy("sig", "side", "block").agg(F.collect_list("m").alias("members"))
+    outer = packed.filter("side").select("sig", F.col("block").alias("x"), "members")
+    met = outer.join(packed.select("sig", "side", "block", F.col("members").alias("others")), "sig").filter("NOT side OR x <= block")
+    met = met.select("members", F.when(~(F.col("side") & (F.col("x") == F.col("block"))), F.col("others")).alias("others"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def parts(cell: list) -> list[list]:
+            return [[m[k] for m in cell] for k in ("id", "n", "comp", "bits")]
+
+        for batch in batches:
+            for at in range(batch.num_rows):
+                ids, n, comp, bits = parts(batch.column(0)[at].as_py())
+                more, left = batch.column(1)[at].as_py(), None
+                if more is not None:
+                    left = len(ids)
+                    ids, n, comp, bits = (a + b for a, b in zip((ids, n, comp, bits), parts(more), strict=True))
+                i, j = near_members(np.array(n, dtype=np.int64), np.array(comp, dtype=np.int64), bits, percent, left)
+                if len(i):
+                    names = np.array(ids, dtype=np.int64)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(names[i], names[j])), pa.array(np.maximum(names[i], names[j]))], names=["a", "b"])
+
+    return few.unionByName(met).mapInArrow(run, "a long, b long").distinct()
+
+
 def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int, scratch: Scratch, name: str) -> DataFrame:
     """Pairs (a, b) that link, by their texts. Each pair moves one text; a much-paired document is copied for each block of partners."""
     pairs = scratch.write(pairs.select("a", "b"), f"{name}-pairs")
@@ -375,16 +517,12 @@ def join(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = S
     # lists that still span several components
     placed = lists.select("sig", "id", "n", "pos").join(first, "id", "left").withColumn("comp", F.coalesce("comp", "id"))
     placed = scratch.write(placed, "placed")
+    scratch.drop("lists")
     per = placed.groupBy("sig", "comp").agg(F.count("*").alias("c"))
-    spread = per.groupBy("sig").agg(F.count("*").alias("parts"), F.max(F.struct("c", "comp")).alias("m")).filter("parts > 1").select("sig", F.col("m.comp").alias("main"))
-    wide = scratch.write(placed.join(spread, "sig"), "wide")
-    minor = wide.filter("comp <> main").select("sig", F.col("id").alias("x"), F.col("n").alias("xn"), F.col("pos").alias("xp"), F.col("comp").alias("xc"))
-    cross = minor.join(wide, "sig").filter(
-        (F.col("xc") != F.col("comp")) & ((F.col("comp") == F.col("main")) | (F.col("x") < F.col("id"))) & _possible("n", "xn", "pos", "xp", percent)
-    )
-    rest = cross.select(F.least("x", "id").alias("a"), F.greatest("x", "id").alias("b")).distinct()
-    late = verified(bounded(rest, bitmaps, percent), reps, size, percent, scratch, "rest")
-    scratch.drop("lists", "placed", "wide")
+    spread = per.groupBy("sig").agg(F.count("*").alias("parts"), F.sum("c").alias("w"), F.max(F.struct("c", "comp")).alias("m")).filter("parts > 1").select("sig", "w", F.col("m.comp").alias("main"))
+    rest = across(placed.join(spread, "sig"), bitmaps, percent, scratch)
+    late = verified(rest, reps, size, percent, scratch, "rest")
+    scratch.drop("placed", "kept")
     all_links = links.union(late)
     comp = components(all_links, scratch, "last")
     out = member.join(comp.withColumnRenamed("id", "rep"), "rep", "left").select("id", "n", F.coalesce("comp", "rep").alias("component_id"))
