@@ -193,7 +193,10 @@ def top_k(rows: DataFrame, is_query, key: str = "vec_id", vector: str = "embeddi
     scratch = Scratch(rows.sparkSession, "vectors")
     vectors = scratch.write(whole_vectors(rows, key, vector, scale), "vectors")
     queries = vectors.filter(is_query(F.col("id")))
-    found = scratch.write(bounded_candidates(queries, contenders(vectors, k), k), "bounds")
+    # as many partitions as there are whole blocks, so that neither side meets in slivers
+    sizes = vectors.agg(F.count("*").alias("rows"), F.count_if(is_query(F.col("id"))).alias("queries")).first()
+    some = contenders(vectors, k).coalesce(max(1, -(-sizes.rows // ROW_BLOCK)))
+    found = scratch.write(bounded_candidates(queries.repartition(max(1, -(-sizes.queries // QUERY_BLOCK))), some, k), "bounds")
     by_low = W.partitionBy("query_id").orderBy(F.desc("low"), "id")
     floor = found.withColumn("n", F.row_number().over(by_low)).filter(F.col("n") == k).select("query_id", F.col("low").alias("floor"))
     alive = found.join(floor, "query_id", "left").filter(F.col("floor").isNull() | (F.col("high") >= F.col("floor"))).drop("floor")
