@@ -220,26 +220,30 @@ def row_key(text: str = "text") -> Column:
     return F.struct(F.xxhash64(body).alias("a"), F.crc32(F.encode(body, "UTF-8")).alias("b"), F.length(body).alias("c"))
 
 
-def with_spans(rows: DataFrame, thin: DataFrame, terms: DataFrame) -> DataFrame:
-    """``rows`` (with column ``row``) with arrays ``base`` and ``spans`` of (start, end, kind)."""
+def found_spans(thin: DataFrame, terms: DataFrame) -> DataFrame:
+    """(row, base, spans): arrays of (start, end, kind) of each text that has any."""
     kind = "array<struct<start:bigint,end:bigint,kind:string>>"
-    none = F.array().cast(kind)
     found = thin.join(terms, "row", "left")
-    extra = F.coalesce(F.transform("terms", lambda t: F.struct(t["start"].alias("start"), t["end"].alias("end"), F.lit("term").alias("kind"))), none)
+    extra = F.coalesce(F.transform("terms", lambda t: F.struct(t["start"].alias("start"), t["end"].alias("end"), F.lit("term").alias("kind"))), F.array().cast(kind))
     order = F.array(*[F.lit(k) for k in (*KINDS, "term")])
     rank = lambda s: s["start"] * 8 + F.array_position(order, s["kind"])
     sooner = lambda a, b: F.when(rank(a) < rank(b), -1).when(rank(a) > rank(b), 1).otherwise(0)
-    found = found.select("row", "base", F.array_sort(F.concat("base", extra), sooner).alias("spans"))
-    found = _sized(found, "base", "spans")  # if broadcast, a group of equal texts stays where its rows are
+    return found.select("row", "base", F.array_sort(F.concat("base", extra), sooner).alias("spans"))
+
+
+def with_spans(rows: DataFrame, thin: DataFrame, terms: DataFrame) -> DataFrame:
+    """``rows`` (with column ``row``) with arrays ``base`` and ``spans``."""
+    none = F.array().cast("array<struct<start:bigint,end:bigint,kind:string>>")
+    found = _sized(found_spans(thin, terms), (F.size("base") + F.size("spans")) * ROW_BYTES)
     return rows.join(found, "row", "left").withColumn("base", F.coalesce("base", none)).withColumn("spans", F.coalesce("spans", none))
 
 
-def _sized(found: DataFrame, *spans: str) -> DataFrame:
-    """The table, written, with a broadcast hint if its rows and spans together are small enough."""
+def _sized(found: DataFrame, size: Column) -> DataFrame:
+    """The table, written, with a broadcast hint if its rows and cells together, ``size`` bytes each, are small enough. If broadcast, a
+    group of equal texts stays where its rows are."""
     found = Scratch(found.sparkSession, "found").write(found, "found")
-    cells = sum((F.size(c) for c in spans), F.lit(1))
-    size = found.agg(F.coalesce(F.sum(cells), F.lit(0)).alias("n")).first().n * ROW_BYTES
-    return F.broadcast(found) if size <= BROADCAST_BYTES else found
+    total = found.agg(F.coalesce(F.sum(size + ROW_BYTES), F.lit(0)).alias("n")).first().n
+    return F.broadcast(found) if total <= BROADCAST_BYTES else found
 
 
 def replaced(text: Column, spans: Column) -> Column:
@@ -254,7 +258,7 @@ def sanitise(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD)
     thin, terms = sanitise_spans(docs, text, threshold)
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in own]).alias("doc"), row_key(text).alias("row"))
     # most texts have no span: the few rows of spans go to the texts, not the texts to the spans
-    found = _sized(with_spans(thin.select("row"), thin, terms).select("row", "spans"), "spans")
+    found = _sized(found_spans(thin, terms).select("row", "spans"), F.size("spans") * ROW_BYTES)
     both = rows.join(found, "row", "left")
     spans = F.coalesce("spans", F.array().cast("array<struct<start:bigint,end:bigint,kind:string>>"))
     new = both.withColumn("new", F.when(F.size(spans) == 0, F.col("doc")[text]).otherwise(replaced(F.col("doc")[text], spans)))
@@ -265,7 +269,10 @@ def sanitise(docs: DataFrame, text: str = "text", threshold: float = THRESHOLD)
 def op1_disclosure_sanitiser(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     thin, terms = sanitise_spans(docs)
-    rows = with_spans(docs.select("doc_id", row_key().alias("row")), thin, terms)
     joined = lambda c: F.array_join(F.transform(c, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
     of_kind = lambda kind: F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
-    return rows.select("doc_id", *[of_kind(k) for k in KINDS], F.sha2(joined("base"), 256).alias("base_sha256"), joined("spans").alias("spans"))
+    # the digest columns of each different text go to its rows
+    found = found_spans(thin, terms).select("row", *[of_kind(k) for k in KINDS], F.sha2(joined("base"), 256).alias("base_sha256"), joined("spans").alias("spans"))
+    rows = docs.select("doc_id", row_key().alias("row")).join(_sized(found, F.length("spans") + 2 * ROW_BYTES), "row", "left")
+    counts = [F.coalesce(f"n_{k}", F.lit(0)).cast("long").alias(f"n_{k}") for k in KINDS]
+    return rows.select("doc_id", *counts, F.coalesce("base_sha256", F.sha2(F.lit(""), 256)).alias("base_sha256"), F.coalesce("spans", F.lit("")).alias("spans"))
