@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from .plans import detectors, live, novelty, relational
+from .plans import detectors, live, novelty, relational, workloads
 
 FLAGSHIP = "vsm_weights"
-MODULES = (novelty, detectors, relational, live)
+MODULES = (novelty, detectors, workloads, relational, live)
 
 
 def queries() -> dict:

@@ -8,10 +8,9 @@ from novelspark.operators.detect import Config
 from novelspark.plans import live, streams
 
 QUERIES, SQL = registry.queries(), registry.oracle_sql()
-SLOW = {"exp_schemes", "exp_tables", "exp_batch_size", "exp_natural", "lsh_collision"}
 
 
-@pytest.mark.parametrize("name", [n for n in SQL if n not in SLOW])
+@pytest.mark.parametrize("name", list(SQL))
 def test_query_equals_sql(spark, sf, duck, same, name):
     same(QUERIES[name](spark, sf), duck.sql(SQL[name]))
 
