@@ -8,10 +8,14 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from . import similarity
+
 #: Planes that one md5 digest gives, as four words of 32 bits.
 PER_DIGEST, WORD = 128, 32
 QUANT = 1_000_000
@@ -91,6 +95,27 @@ def candidates(queries: DataFrame, history: DataFrame, extra: tuple[str, ...] =
     return q.join(h, ["table_no", "bucket", *extra]).filter("q <> h").select("q", "h", *extra).distinct()
 
 
+def collision_law(queries: DataFrame, rows: DataFrame, planes: int, cells: int = 20) -> DataFrame:
+    """(cell, n, observed, predicted) by cells of the angle: the share of differing bits and the angle itself, over pairs with h < q.
+
+    Both sides are (doc_id, v, bands). Blocks of pairs are counted where they meet, so what leaves a task is a row a cell.
+    """
+
+    def step(q: pd.DataFrame, h: pd.DataFrame) -> pd.DataFrame:
+        if not len(q) or not len(h):
+            return pd.DataFrame({"cell": [], "n": [], "bits": [], "angles": []})
+        angle = np.arccos(np.clip(similarity.cosines(q, h), -1, 1)) / np.pi
+        a, b = (np.stack(side["bands"].to_numpy()).astype("int64") for side in (q, h))
+        bits = sum(np.bitwise_count(a[:, t, None] ^ b[None, :, t]).astype("int64") for t in range(a.shape[1]))
+        earlier = h["doc_id"].to_numpy()[None, :] < q["doc_id"].to_numpy()[:, None]
+        pairs = pd.DataFrame({"cell": np.floor(angle[earlier] * cells).astype("int64"), "bits": bits[earlier], "angles": angle[earlier]})
+        return pairs.groupby("cell").agg(n=("bits", "size"), bits=("bits", "sum"), angles=("angles", "sum")).reset_index()
+
+    counted = similarity.blockwise(queries, rows, step, "cell bigint, n bigint, bits bigint, angles double")
+    total = counted.groupBy("cell").agg(F.sum("n").alias("n"), F.sum("bits").alias("bits"), F.sum("angles").alias("angles"))
+    return total.select("cell", "n", F.round(F.col("bits") / F.col("n") / planes, 4).alias("observed"), F.round(F.col("angles") / F.col("n"), 4).alias("predicted"))
+
+
 def bucket_stats(rows: DataFrame) -> DataFrame:
     sizes = rows.groupBy("table_no", "bucket").agg(F.count("*").alias("size"))
     return sizes.groupBy("table_no").agg(F.count("*").alias("n_buckets"), F.max("size").alias("largest"), F.sum(F.col("size") * F.col("size")).alias("pairs"), F.expr("percentile(size, 0.5)").alias("median_size"))

@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 #: Distances are rounded before they are compared, so that ties do not hang on the order of a sum.
 DIGITS = 6
+#: Rows of a block in exhaustive search over dense vectors.
+BLOCK = 4096
 
 
 def cosine(pairs: DataFrame, queries: DataFrame, docs: DataFrame) -> DataFrame:
@@ -60,13 +66,53 @@ def within(pairs: DataFrame, threshold: float) -> DataFrame:
     return pairs.withColumn("distance", F.round(distance(F.col("similarity")), DIGITS)).filter(F.col("distance") < threshold)
 
 
+def blockwise(queries: DataFrame, rows: DataFrame, step: Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame], schema: str, size: int = BLOCK) -> DataFrame:
+    """``step`` on every pair of a block of queries and a block of rows, both with ``doc_id``, which is unique in each.
+
+    Blocks hold about ``size`` rows whatever the input, so a task holds two of them at a time; only two counts are broadcast.
+    """
+    counts = [df.agg(F.greatest(F.ceil(F.count("*") / size), F.lit(1).cast("bigint")).alias(f"n_{name}")) for df, name in ((queries, "q"), (rows, "h"))]
+
+    def dealt(df: DataFrame, own: str, other: str) -> DataFrame:
+        placed = df.join(F.broadcast(counts[0])).join(F.broadcast(counts[1])).withColumn(f"block_{own}", F.pmod(F.xxhash64("doc_id"), F.col(f"n_{own}")))
+        return placed.withColumn(f"block_{other}", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col(f"n_{other}") - 1))).drop("n_q", "n_h")
+
+    both = ("block_q", "block_h")
+    return dealt(queries.toDF(*queries.columns), "q", "h").toDF(*queries.columns, *both).groupBy(*both).cogroup(dealt(rows, "h", "q").select(*rows.columns, *both).groupBy(*both)).applyInPandas(step, schema)
+
+
+def matrix(vectors: pd.Series, dims: int) -> np.ndarray:
+    """Vectors as rows, of length one; a vector that is null or holds a null or no finite number is zero, a short one ends in zeros."""
+    out = np.zeros((len(vectors), dims))
+    for i, v in enumerate(vectors):
+        if v is not None and np.isfinite(v := np.asarray(v, dtype="float64")).all():
+            out[i, : len(v)] = v
+    lengths = np.sqrt((out * out).sum(axis=1, keepdims=True))
+    return np.divide(out, lengths, out=np.zeros_like(out), where=lengths > 0)
+
+
+def cosines(queries: pd.DataFrame, rows: pd.DataFrame) -> np.ndarray:
+    dims = max((len(v) for side in (queries, rows) for v in side["v"] if v is not None), default=0)
+    return matrix(queries["v"], dims) @ matrix(rows["v"], dims).T
+
+
 def nearest_dense(queries: DataFrame, rows: DataFrame, k: int = 1) -> DataFrame:
-    """Exhaustive search over dense vectors (doc_id, v); the queries are few and broadcast."""
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    q = queries.select(F.col("doc_id").alias("q"), F.col("v").alias("qv"))
-    pairs = rows.join(F.broadcast(q), F.col("q") != F.col("doc_id"))
-    length = lambda v: F.sqrt(dot(v, v))
-    return ranked(pairs.select("q", F.col("doc_id").alias("h"), F.coalesce(F.try_divide(dot("qv", "v"), length("qv") * length("v")), F.lit(0.0)).alias("similarity")), k)
+    """Exhaustive search over dense vectors (doc_id, v): every pair of blocks keeps each query's k nearest, then the blocks' lists meet."""
+
+    def step(q: pd.DataFrame, h: pd.DataFrame) -> pd.DataFrame:
+        found = []
+        if len(q) and len(h):
+            h = h.sort_values("doc_id", ignore_index=True)
+            ids, similar = h["doc_id"].to_numpy(), cosines(q, h)
+            far = np.round(1 - np.clip(similar, -1, 1), DIGITS)
+            for i, own in enumerate(q["doc_id"]):
+                far[i, ids == own] = np.inf
+                near = np.argsort(far[i], kind="stable")[:k]
+                near = near[np.isfinite(far[i, near])]
+                found.append(pd.DataFrame({"q": own, "h": ids[near], "similarity": similar[i, near]}))
+        return pd.concat(found) if found else pd.DataFrame({"q": [], "h": [], "similarity": []})
+
+    return ranked(blockwise(queries, rows, step, "q bigint, h bigint, similarity double"), k)
 
 
 def centroids(weighted: DataFrame, clusters: DataFrame) -> DataFrame:

@@ -13,7 +13,9 @@ from . import streams
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
-K, L = 8, 5
+#: Bits of a table, and tables so that a pair at cosine 0.8 shares a bucket with a chance of 0.9.
+K = 8
+L = lsh.tables_needed(K, 0.8, 0.1)
 TF_SQL = r"""tok AS (SELECT doc_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '\p{L}+')) AS term FROM documents),
 tf AS (SELECT doc_id, term, count(*) AS tf FROM tok GROUP BY ALL), n AS (SELECT CAST(count(*) AS DOUBLE) AS n FROM documents),
 df AS (SELECT term, count(*) AS df, CAST(sum(tf) AS BIGINT) AS cf FROM tf GROUP BY term), idf AS (SELECT term, df, cf, log10(n / df) AS idf FROM df, n)"""
@@ -258,29 +260,29 @@ def model_drift(spark, d):
 
 # ---- search -----------------------------------------------------------------------------------------------------------------
 
-#: Exhaustive search runs over snippets of 40 terms, the paper's unit.
-SNIP_SQL = r"""tok AS (SELECT doc_id, unnest((regexp_extract_all(lower(coalesce(text, '')), '\p{L}+'))[1:40]) AS term FROM documents),
+#: Search and hashing run over whole texts.
+NEAR_SQL = r"""tok AS (SELECT doc_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '\p{L}+')) AS term FROM documents),
 tf AS (SELECT doc_id, term, count(*) AS tf FROM tok GROUP BY ALL), n AS (SELECT CAST(count(*) AS DOUBLE) AS n FROM documents),
 idf AS (SELECT term, log10(n / count(*)) AS idf FROM tf, n GROUP BY term, n), x AS (SELECT doc_id, term, (log10(tf) + 1) * idf AS x FROM tf JOIN idf USING (term)),
 w AS (SELECT doc_id, term, x / sqrt(sum(x * x) OVER (PARTITION BY doc_id)) AS w FROM x WHERE x <> 0),
 dots AS (SELECT a.doc_id AS q, b.doc_id AS h, round(1 - greatest(-1, least(1, sum(a.w * b.w))), 6) AS distance, sum(a.w * b.w) AS s FROM w a JOIN w b ON a.term = b.term AND b.doc_id < a.doc_id GROUP BY 1, 2)"""
 
 
-def snippet_weights(spark, d) -> DataFrame:
-    docs = doc_tokens(spark, d).withColumn("terms", text.snippet(F.col("terms")))
+def whole_weights(spark, d) -> DataFrame:
+    docs = doc_tokens(spark, d)
     return model.weights(model.term_counts(docs), model.corpus_size(docs))
 
 
 def earlier_pairs(spark, d) -> DataFrame:
-    w = snippet_weights(spark, d).withColumn("seq", F.col("doc_id"))
+    w = whole_weights(spark, d).withColumn("seq", F.col("doc_id"))
     return similarity.products(w, w, prior=True)
 
 
-@query("sim_cosine_pairs", f"WITH {SNIP_SQL}, p AS (SELECT doc_id AS q, doc_id + k AS h FROM documents, (SELECT unnest([1, 11]) AS k) WHERE doc_id + k < (SELECT n FROM n)) SELECT p.q, p.h, round(coalesce(s, 0), 6) AS similarity FROM p LEFT JOIN dots ON dots.q = p.h AND dots.h = p.q")
+@query("sim_cosine_pairs", f"WITH {NEAR_SQL}, p AS (SELECT doc_id AS q, doc_id + k AS h FROM documents, (SELECT unnest([1, 11]) AS k) WHERE doc_id + k < (SELECT n FROM n)) SELECT p.q, p.h, round(coalesce(s, 0), 6) AS similarity FROM p LEFT JOIN dots ON dots.q = p.h AND dots.h = p.q")
 def sim_cosine_pairs(spark, d):
     docs = table(spark, d, "documents").select("doc_id")
     pairs = docs.select(F.col("doc_id").alias("q"), F.explode(F.array(F.col("doc_id") + 1, F.col("doc_id") + 11)).alias("h"))
-    w = snippet_weights(spark, d)
+    w = whole_weights(spark, d)
     return similarity.cosine(pairs.join(docs.withColumnRenamed("doc_id", "h"), "h", "left_semi"), w, w).withColumn("similarity", r6("similarity"))
 
 
@@ -290,17 +292,17 @@ def sim_unit_norm(spark, d):
     return model.weights(tf, n).groupBy("doc_id").agg(r6(F.sum(F.col("w") * F.col("w"))).alias("norm"))
 
 
-@query("nn_exact", f"WITH {SNIP_SQL} SELECT q, distance, h FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY distance, h) AS r FROM dots) WHERE r = 1")
+@query("nn_exact", f"WITH {NEAR_SQL} SELECT q, distance, h FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY distance, h) AS r FROM dots) WHERE r = 1")
 def nn_exact(spark, d):
     return similarity.nearest(earlier_pairs(spark, d))
 
 
-@query("nn_topk", f"WITH {SNIP_SQL} SELECT q, h, distance, CAST(r AS INTEGER) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY distance, h) AS r FROM dots) WHERE r <= 5")
+@query("nn_topk", f"WITH {NEAR_SQL} SELECT q, h, distance, CAST(r AS INTEGER) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY distance, h) AS r FROM dots) WHERE r <= 5")
 def nn_topk(spark, d):
     return similarity.ranked(earlier_pairs(spark, d), 5)
 
 
-@query("nn_within", f"WITH {SNIP_SQL} SELECT q, h, distance FROM dots WHERE distance < 0.5")
+@query("nn_within", f"WITH {NEAR_SQL} SELECT q, h, distance FROM dots WHERE distance < 0.5")
 def nn_within(spark, d):
     return similarity.within(earlier_pairs(spark, d), 0.5).select("q", "h", "distance")
 
@@ -310,27 +312,29 @@ def dense(spark, d) -> DataFrame:
 
 
 @query("nn_dense", """WITH e AS (SELECT vec_id, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS k FROM embeddings), s AS (SELECT vec_id, sqrt(sum(x * x)) AS l FROM e GROUP BY 1),
-p AS (SELECT a.vec_id AS q, b.vec_id AS h, sum(a.x * b.x) AS dot FROM e a JOIN e b ON a.k = b.k AND a.vec_id <> b.vec_id WHERE a.vec_id % 20 = 0 GROUP BY 1, 2),
+p AS (SELECT a.vec_id AS q, b.vec_id AS h, sum(a.x * b.x) AS dot FROM e a JOIN e b ON a.k = b.k AND a.vec_id <> b.vec_id WHERE a.vec_id % 50 = 0 GROUP BY 1, 2),
 r AS (SELECT q, h, round(1 - dot / (m.l * n.l), 6) AS distance FROM p JOIN s m ON m.vec_id = q JOIN s n ON n.vec_id = h)
 SELECT q, h, distance, CAST(r AS INTEGER) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY distance, h) AS r FROM r) WHERE r <= 3""")
 def nn_dense(spark, d):
+    """Queries: rows whose id is divisible by 50, against all rows."""
     rows = dense(spark, d)
-    return similarity.nearest_dense(rows.filter("doc_id % 20 = 0"), rows, 3)
+    return similarity.nearest_dense(rows.filter("doc_id % 50 = 0"), rows, 3)
 
 
-@query("dist_kinds", f"WITH {SNIP_SQL} SELECT q, h, round(1 - least(1, s), 5) AS cosine, round(acos(least(1, s)) / pi(), 5) AS angular FROM dots WHERE s > 0.2")
+@query("dist_kinds", f"WITH {NEAR_SQL} SELECT q, h, round(1 - least(1, s), 5) AS cosine, round(acos(least(1, s)) / pi(), 5) AS angular FROM dots WHERE s > 0.2")
 def dist_kinds(spark, d):
     pairs = earlier_pairs(spark, d).filter("similarity > 0.2")
     return pairs.select("q", "h", *[F.round(similarity.distance(F.col("similarity"), k), 5).alias(k) for k in ("cosine", "angular")])
 
 
-@query("nn_centroid", f"""WITH {SNIP_SQL}, c AS (SELECT doc_id % 20 AS cluster, term, sum(w) AS x FROM w WHERE doc_id % 2 = 0 GROUP BY ALL), u AS (SELECT cluster, term, x / sqrt(sum(x * x) OVER (PARTITION BY cluster)) AS v FROM c),
-p AS (SELECT doc_id AS q, cluster AS h, round(1 - greatest(-1, least(1, sum(w * v))), 6) AS distance FROM w JOIN u USING (term) WHERE doc_id % 2 = 1 GROUP BY 1, 2)
+@query("nn_centroid", f"""WITH {NEAR_SQL}, c AS (SELECT source AS cluster, term, sum(w) AS x FROM w JOIN documents USING (doc_id) GROUP BY ALL), u AS (SELECT cluster, term, x / sqrt(sum(x * x) OVER (PARTITION BY cluster)) AS v FROM c),
+p AS (SELECT doc_id AS q, cluster AS h, round(1 - greatest(-1, least(1, sum(w * v))), 6) AS distance FROM w JOIN u USING (term) GROUP BY 1, 2)
 SELECT q, distance, h FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY distance, h) AS r FROM p) WHERE r = 1""")
 def nn_centroid(spark, d):
-    w = snippet_weights(spark, d)
-    clusters = w.filter("doc_id % 2 = 0").select("doc_id", (F.col("doc_id") % 20).alias("cluster")).distinct()
-    return similarity.nearest(similarity.products(w.filter("doc_id % 2 = 1"), similarity.centroids(w, clusters)))
+    """Each document's nearest source, by the sources' mean vectors."""
+    w = whole_weights(spark, d)
+    clusters = table(spark, d, "documents").select("doc_id", F.col("source").alias("cluster"))
+    return similarity.nearest(similarity.products(w, similarity.centroids(w, clusters)))
 
 
 # ---- hashing ----------------------------------------------------------------------------------------------------------------
@@ -351,32 +355,34 @@ def signature_sql(source: str, out: str, k: int, tables: int, keys: str = "doc_i
 {out}_s AS (SELECT {keys}, sum(q) AS total, {sums} FROM {out}_q GROUP BY {keys}), {out} AS (SELECT {keys}, [{bands}] AS bands FROM {out}_s)"""
 
 
-def raw_snippets(spark, d) -> DataFrame:
-    docs = doc_tokens(spark, d).withColumn("terms", text.snippet(F.col("terms")))
+def raw_whole(spark, d) -> DataFrame:
+    docs = doc_tokens(spark, d)
     tf = model.term_counts(docs)
     return model.raw_weights(tf, model.idf(model.document_frequency(tf), model.corpus_size(docs)))
 
 
-@query("lsh_planes", f"WITH t AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\\p{{L}}+')) AS term FROM documents WHERE doc_id < 50), w AS (SELECT term, {word_sql('term', 0)} AS w0, {word_sql('term', 1)} AS w1 FROM t), p AS (SELECT unnest(range(40)) AS plane) SELECT term, CAST(plane AS INTEGER) AS plane, CASE WHEN ((CASE WHEN plane < 32 THEN w0 ELSE w1 END) >> CAST(plane % 32 AS INTEGER)) & 1 = 1 THEN 1 ELSE -1 END AS sign FROM w, p")
+@query("lsh_planes", f"WITH t AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\\p{{L}}+')) AS term FROM documents), w AS (SELECT term, {word_sql('term', 0)} AS w0, {word_sql('term', 1)} AS w1 FROM t) SELECT term, w0 + (w1 & 255) * 4294967296 AS mask, CAST(bit_count(w0) + bit_count(w1 & 255) AS BIGINT) AS n_plus FROM w")
 def lsh_planes(spark, d):
-    terms = doc_tokens(spark, d).filter("doc_id < 50").select(F.explode("terms").alias("term")).distinct()
-    return lsh.plane_bits(terms, 40)
+    """Each term's 40 signs: planes with +1 as a bit mask, and their number."""
+    signs = lsh.plane_bits(doc_tokens(spark, d).select(F.explode("terms").alias("term")).distinct(), 40)
+    bit = F.call_function("shiftleft", F.lit(1).cast("bigint"), F.col("plane"))
+    return signs.groupBy("term").agg(F.sum(F.when(F.col("sign") > 0, bit).otherwise(0)).alias("mask"), F.count_if(F.col("sign") > 0).alias("n_plus"))
 
 
-@query("lsh_planes_gauss", r"""WITH t AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\p{L}+')) AS term FROM documents WHERE doc_id < 50), p AS (SELECT term, unnest(range(16)) AS plane FROM t), m AS (SELECT term, plane, md5(term || '|1|g' || plane) AS m FROM p)
+@query("lsh_planes_gauss", r"""WITH t AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\p{L}+')) AS term FROM documents), p AS (SELECT term, unnest(range(16)) AS plane FROM t), m AS (SELECT term, plane, md5(term || '|1|g' || plane) AS m FROM p)
 SELECT term, CAST(plane AS INTEGER) AS plane, round(sqrt(-2 * ln((CAST('0x' || substr(m, 1, 8) AS BIGINT) + 0.5::DOUBLE) / 4294967296)) * cos(2 * pi() * (CAST('0x' || substr(m, 9, 8) AS BIGINT) + 0.5::DOUBLE) / 4294967296), 6) AS component FROM m""")
 def lsh_planes_gauss(spark, d):
-    terms = doc_tokens(spark, d).filter("doc_id < 50").select(F.explode("terms").alias("term")).distinct()
+    terms = doc_tokens(spark, d).select(F.explode("terms").alias("term")).distinct()
     return lsh.plane_gauss(terms, 16).withColumn("component", r6("component"))
 
 
-SIGNED_SQL = f"{SNIP_SQL}, {signature_sql('x', 'sig', K, L)}"
+SIGNED_SQL = f"{NEAR_SQL}, {signature_sql('x', 'sig', K, L)}"
 ROWS_SQL = f"{SIGNED_SQL}, bands AS (SELECT doc_id, unnest(bands) AS bucket, generate_subscripts(bands, 1) - 1 AS table_no FROM sig)"
 
 
 @query("lsh_signatures", f"WITH {SIGNED_SQL} SELECT doc_id, array_to_string(bands, ',') AS bands FROM sig")
 def lsh_signatures(spark, d):
-    return lsh.signatures(raw_snippets(spark, d), K, L).select("doc_id", F.array_join(F.transform("bands", lambda b: b.cast("string")), ",").alias("bands"))
+    return lsh.signatures(raw_whole(spark, d), K, L).select("doc_id", F.array_join(F.transform("bands", lambda b: b.cast("string")), ",").alias("bands"))
 
 
 @query("lsh_signatures_dense", f"WITH x AS (SELECT vec_id AS doc_id, 'd' || (generate_subscripts(embedding, 1) - 1) AS term, unnest(embedding)::DOUBLE AS x FROM embeddings), {signature_sql('x', 'sig', K, L)} SELECT doc_id, array_to_string(bands, ',') AS bands FROM sig")
@@ -386,18 +392,18 @@ def lsh_signatures_dense(spark, d):
 
 @query("lsh_hamming", f"WITH {SIGNED_SQL} SELECT a.doc_id AS q, b.doc_id AS h, CAST(list_sum([bit_count(xor(a.bands[i], b.bands[i])) FOR i IN range(1, {L + 1})]) AS BIGINT) AS bits FROM sig a JOIN sig b ON b.doc_id = a.doc_id + 1")
 def lsh_hamming(spark, d):
-    signed = lsh.signatures(raw_snippets(spark, d), K, L)
+    signed = lsh.signatures(raw_whole(spark, d), K, L)
     pairs = signed.select(F.col("doc_id").alias("q"), F.col("bands").alias("a")).join(signed.select(F.col("doc_id").alias("h"), F.col("bands").alias("b")), F.col("h") == F.col("q") + 1)
     return pairs.select("q", "h", lsh.hamming(F.col("a"), F.col("b")).alias("bits"))
 
 
 @query("lsh_buckets", f"WITH {ROWS_SQL} SELECT CAST(table_no AS INTEGER) AS table_no, bucket, count(*) AS n FROM bands GROUP BY ALL")
 def lsh_buckets(spark, d):
-    return lsh.buckets(lsh.signatures(raw_snippets(spark, d), K, L)).groupBy("table_no", "bucket").agg(F.count("*").alias("n"))
+    return lsh.buckets(lsh.signatures(raw_whole(spark, d), K, L)).groupBy("table_no", "bucket").agg(F.count("*").alias("n"))
 
 
 def candidate_rows(spark, d, tables: int, cap: int | None = None) -> DataFrame:
-    rows = lsh.buckets(lsh.signatures(raw_snippets(spark, d), K, L)).filter(F.col("table_no") < tables)
+    rows = lsh.buckets(lsh.signatures(raw_whole(spark, d), K, L)).filter(F.col("table_no") < tables)
     return lsh.candidates(rows, lsh.cap_buckets(rows, cap) if cap else rows).filter("h < q")
 
 
@@ -425,26 +431,20 @@ def lsh_table_count(spark, d):
 
 
 @query("lsh_collision", f"""WITH x AS (SELECT vec_id AS doc_id, 'd' || (generate_subscripts(embedding, 1) - 1) AS term, unnest(embedding)::DOUBLE AS x FROM embeddings), {signature_sql('x', 'sig', 8, 16)},
-s AS (SELECT doc_id, sqrt(sum(x * x)) AS l FROM x GROUP BY 1), p AS (SELECT a.doc_id AS q, b.doc_id AS h, sum(a.x * b.x) AS dot FROM x a JOIN x b ON a.term = b.term AND b.doc_id < a.doc_id WHERE a.doc_id % 10 = 0 GROUP BY 1, 2),
+s AS (SELECT doc_id, sqrt(sum(x * x)) AS l FROM x GROUP BY 1), p AS (SELECT a.doc_id AS q, b.doc_id AS h, sum(a.x * b.x) AS dot FROM x a JOIN x b ON a.term = b.term AND b.doc_id < a.doc_id WHERE a.doc_id % 50 = 0 GROUP BY 1, 2),
 t AS (SELECT p.*, acos(greatest(-1, least(1, dot / (m.l * n.l)))) / pi() AS angle, list_sum([bit_count(xor(u.bands[i], v.bands[i])) FOR i IN range(1, 17)]) / 128 AS share
  FROM p JOIN s m ON m.doc_id = q JOIN s n ON n.doc_id = h JOIN sig u ON u.doc_id = q JOIN sig v ON v.doc_id = h)
 SELECT CAST(floor(angle * 20) AS BIGINT) AS cell, count(*) AS n, round(avg(share), 4) AS observed, round(avg(angle), 4) AS predicted FROM t GROUP BY 1""")
 def lsh_collision(spark, d):
+    """Ids divisible by 50 as queries, with every smaller id."""
     rows = dense(spark, d)
-    signed = lsh.signatures_dense(rows, 8, 16)
-    pairs = similarity.nearest_dense(rows.filter("doc_id % 10 = 0"), rows, 1 << 30).filter("h < q")
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    a = rows.join(signed, "doc_id").select(F.col("doc_id").alias("q"), F.col("v").alias("qv"), F.col("bands").alias("a"))
-    b = rows.join(signed, "doc_id").select(F.col("doc_id").alias("h"), F.col("v").alias("hv"), F.col("bands").alias("b"))
-    both = pairs.select("q", "h").join(a, "q").join(b, "h")
-    angle = F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), dot("qv", "hv") / (F.sqrt(dot("qv", "qv")) * F.sqrt(dot("hv", "hv")))))) / F.pi()
-    seen = both.select(angle.alias("angle"), (lsh.hamming(F.col("a"), F.col("b")) / 128).alias("share"))
-    return seen.groupBy(F.floor(F.col("angle") * 20).alias("cell")).agg(F.count("*").alias("n"), F.round(F.avg("share"), 4).alias("observed"), F.round(F.avg("angle"), 4).alias("predicted"))
+    rows = rows.join(lsh.signatures_dense(rows, 8, 16), "doc_id")
+    return lsh.collision_law(rows.filter("doc_id % 50 = 0"), rows, 8 * 16)
 
 
 @query("lsh_bucket_stats", f"WITH {ROWS_SQL}, s AS (SELECT table_no, bucket, count(*) AS size FROM bands GROUP BY ALL) SELECT CAST(table_no AS INTEGER) AS table_no, count(*) AS n_buckets, max(size) AS largest, CAST(sum(size * size) AS BIGINT) AS pairs, quantile_cont(size::DOUBLE, 0.5) AS median_size FROM s GROUP BY table_no")
 def lsh_bucket_stats(spark, d):
-    return lsh.bucket_stats(lsh.buckets(lsh.signatures(raw_snippets(spark, d), K, L)))
+    return lsh.bucket_stats(lsh.buckets(lsh.signatures(raw_whole(spark, d), K, L)))
 
 
 __all__ = ["Config", "INCREMENTAL", "QUERIES", "SQL", "STATIC", "detect", "metrics", "streams"]

@@ -59,7 +59,7 @@ def sink_partitioned(spark, d):
     path = folder(spark, "bands")
     docs = tables.with_arrival(table(spark, d, "documents"), table(spark, d, "events")).select("doc_id", "lang", F.to_date("ts").alias("day"))
     tables.write(docs, path, ("lang", "day"), ("doc_id",))
-    return spark.read.parquet(path).filter("lang = 'en'").groupBy("day").agg(F.count("*").alias("n"))
+    return spark.read.parquet(path).groupBy("lang", "day").agg(F.count("*").alias("n"))
 
 
 # ---- projection, filter, predicate -----------------------------------------------------------------------------------------------
@@ -321,11 +321,14 @@ def fn_array(spark, d):
     return table(spark, d, "embeddings").select("vec_id", F.size("embedding").cast("bigint").alias("n"), F.round(F.aggregate(F.filter(v, lambda x: x > 0), F.lit(0.0), lambda s, x: s + x), 4).alias("positive"), F.round(F.element_at(v, 3), 6).alias("third"), F.round(F.array_max(v), 6).alias("top"))
 
 
-@query("fn_map", r"SELECT doc_id, term, count(*) AS n FROM (SELECT doc_id, unnest((regexp_extract_all(lower(text), '\p{L}+'))[1:10]) AS term FROM documents) GROUP BY ALL")
+@query("fn_map", r"SELECT doc_id, term, count(*) AS n FROM (SELECT doc_id, unnest(regexp_extract_all(lower(text), '\p{L}+')) AS term FROM documents) GROUP BY ALL")
 def fn_map(spark, d):
-    terms = table(spark, d, "documents").select("doc_id", F.slice(tokens(F.col("text")), 1, 10).alias("terms"))
-    counted = terms.select("doc_id", F.map_from_entries(F.transform(F.array_distinct("terms"), lambda t: F.struct(t, F.size(F.filter("terms", lambda x: x == t)).cast("bigint")))).alias("m"))
-    return counted.select("doc_id", F.explode("m").alias("term", "n"))
+    """Words counted within the row: a map is built from the sorted array's runs, each word's number being the distance of its ends."""
+    terms = table(spark, d, "documents").select("doc_id", F.array_sort(tokens(F.col("text"))).alias("terms"))
+    starts = F.filter(F.sequence(F.lit(0), F.size("terms") - 1), lambda i: (i == 0) | (F.get("terms", i) != F.get("terms", i - 1)))
+    runs = terms.filter(F.size("terms") > 0).select("doc_id", "terms", F.concat(starts, F.array(F.size("terms"))).alias("at"))
+    entries = F.zip_with(F.slice("at", F.lit(1), F.size("at") - 1), F.slice("at", F.lit(2), F.size("at") - 1), lambda a, b: F.struct(F.get("terms", a), (b - a).cast("bigint")))
+    return runs.select("doc_id", F.explode(F.map_from_entries(entries)).alias("term", "n"))
 
 
 @query("fn_json", "SELECT json_extract_string(props, '$.k') AS k, count(*) AS n FROM events GROUP BY 1")
