@@ -95,6 +95,33 @@ def candidates(queries: DataFrame, history: DataFrame, extra: tuple[str, ...] =
     return q.join(h, ["table_no", "bucket", *extra]).filter("q <> h").select("q", "h", *extra).distinct()
 
 
+def grouped_nearest(queries: DataFrame, history: DataFrame, cap: int, size: int = similarity.BLOCK) -> DataFrame:
+    """(q, distance, h): the nearest of the newest ``cap`` documents of each bucket a query falls in, scored bucket by bucket.
+
+    Both sides are (doc_id, v, table_no, bucket). A bucket's queries are dealt to parts of about ``size`` rows, each with the bucket's
+    newest documents, so that a bucket of any size fits its tasks.
+    """
+    keys = ("table_no", "bucket", "part")
+
+    def step(q: pd.DataFrame, h: pd.DataFrame) -> pd.DataFrame:
+        found = {"q": [], "h": [], "similarity": []}
+        if len(q) and len(h):
+            h = h.sort_values("doc_id", ignore_index=True)
+            ids, similar = h["doc_id"].to_numpy(), similarity.cosines(q, h)
+            far = np.round(1 - np.clip(similar, -1, 1), similarity.DIGITS)
+            far[q["doc_id"].to_numpy()[:, None] == ids[None, :]] = np.inf
+            best = far.argmin(axis=1)
+            met = np.isfinite(far[np.arange(len(q)), best])
+            found = {"q": q["doc_id"].to_numpy()[met], "h": ids[best[met]], "similarity": similar[np.arange(len(q)), best][met]}
+        return pd.DataFrame(found)
+
+    parts = queries.groupBy("table_no", "bucket").agg(F.ceil(F.count("*") / size).alias("parts"))
+    q = queries.join(parts, ["table_no", "bucket"]).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.col("parts"))).select("doc_id", "v", *keys)
+    h = cap_buckets(history, cap).join(parts, ["table_no", "bucket"]).withColumn("part", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("parts") - 1))).select("doc_id", "v", *keys)
+    pairs = q.toDF(*q.columns).groupBy(*keys).cogroup(h.groupBy(*keys)).applyInPandas(step, "q bigint, h bigint, similarity double")
+    return similarity.nearest(pairs)
+
+
 def collision_law(queries: DataFrame, rows: DataFrame, planes: int, cells: int = 20) -> DataFrame:
     """(cell, n, observed, predicted) by cells of the angle: the share of differing bits and the angle itself, over pairs with h < q.
 

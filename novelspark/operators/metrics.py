@@ -75,7 +75,7 @@ def area(curve: DataFrame) -> DataFrame:
     """Area under the curve by trapezoids, and the point where both rates are nearest to each other."""
     by = W.orderBy("p_miss", F.desc("p_fa"))
     steps = curve.select("p_miss", "p_fa", (F.col("p_miss") - F.lag("p_miss").over(by)).alias("dx"), (F.col("p_fa") + F.lag("p_fa").over(by)).alias("h"))
-    return steps.agg(F.sum(F.col("dx") * F.col("h") / 2).alias("auc"), F.min(F.struct(F.abs(F.col("p_miss") - F.col("p_fa")).alias("gap"), ((F.col("p_miss") + F.col("p_fa")) / 2).alias("rate"))).alias("e")).select("auc", F.col("e.rate").alias("equal_error"))
+    return steps.agg(F.sum(F.col("dx") * F.col("h") / 2).alias("auc"), F.min(F.struct(F.round(F.abs(F.col("p_miss") - F.col("p_fa")), 9).alias("gap"), ((F.col("p_miss") + F.col("p_fa")) / 2).alias("rate"))).alias("e")).select("auc", F.col("e.rate").alias("equal_error"))
 
 
 def probit(p: Column) -> Column:

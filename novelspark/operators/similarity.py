@@ -120,3 +120,26 @@ def centroids(weighted: DataFrame, clusters: DataFrame) -> DataFrame:
     sums = weighted.join(clusters, "doc_id").groupBy("cluster", "term").agg(F.sum("w").alias("x"))
     size = F.sqrt(F.sum(F.col("x") * F.col("x")).over(W.partitionBy("cluster")))
     return sums.select(F.col("cluster").alias("doc_id"), "term", F.try_divide("x", size).alias("w"))
+
+
+def centroids_grouped(vectors: DataFrame, by: str, size: int = BLOCK) -> DataFrame:
+    """(by, dim, mean) of dense vectors (doc_id, by, v), through a grouped-aggregate Arrow function.
+
+    A group is dealt to parts of about ``size`` rows; the parts' sums are added afterwards, so no task holds a whole group. Vectors that
+    are null take no part. ``centroids`` is the form without Python for weighted terms.
+    """
+
+    @F.pandas_udf("array<double>")
+    def total(v: pd.Series) -> list[float]:
+        out = np.zeros(max(map(len, v)))
+        for x in v:
+            out[: len(x)] += x
+        return out.tolist()
+
+    held = vectors.filter("v IS NOT NULL AND NOT exists(v, x -> x IS NULL)")
+    counts = held.agg(F.greatest(F.ceil(F.count("*") / size), F.lit(1).cast("bigint")).alias("parts"))
+    dealt = held.join(F.broadcast(counts)).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.col("parts")))
+    sums = dealt.groupBy(by, "part").agg(total("v").alias("v"))
+    sizes = held.groupBy(by).agg(F.count("*").alias("n"))
+    added = sums.select(by, F.posexplode("v").alias("dim", "x")).groupBy(by, "dim").agg(F.sum("x").alias("x"))
+    return added.join(sizes.withColumnRenamed(by, "of"), F.col(by).eqNullSafe(F.col("of"))).select(by, "dim", (F.col("x") / F.col("n")).alias("mean"))

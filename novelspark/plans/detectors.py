@@ -231,9 +231,9 @@ def met_min_cost(spark, d):
     return best.select(F.round("cost", 6).alias("cost"), "threshold", F.round("p_miss", 6).alias("p_miss"), F.round("p_fa", 6).alias("p_fa"))
 
 
-@query("met_auc", f"{SCORED}, {CURVE}, st AS (SELECT p_miss, p_fa, (p_miss - lag(p_miss) OVER w) * (p_fa + lag(p_fa) OVER w) / 2 AS a FROM curve WINDOW w AS (ORDER BY p_miss, p_fa DESC)) SELECT round(sum(a), 6) AS auc FROM st")
+@query("met_auc", f"{SCORED}, {CURVE}, st AS (SELECT p_miss, p_fa, (p_miss - lag(p_miss) OVER w) * (p_fa + lag(p_fa) OVER w) / 2 AS a FROM curve WINDOW w AS (ORDER BY p_miss, p_fa DESC)) SELECT round(sum(a), 6) AS auc, (SELECT round((p_miss + p_fa) / 2, 6) FROM curve ORDER BY round(abs(p_miss - p_fa), 9), p_miss + p_fa LIMIT 1) AS equal_error FROM st")
 def met_auc(spark, d):
-    return metrics.area(metrics.det_curve(scored(spark, d))).select(F.round("auc", 6).alias("auc"))
+    return metrics.area(metrics.det_curve(scored(spark, d))).select(F.round("auc", 6).alias("auc"), F.round("equal_error", 6).alias("equal_error"))
 
 
 def two_best(a: str, b: str) -> str:

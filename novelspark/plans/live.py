@@ -18,20 +18,23 @@ QUERIES: dict = {}
 SQL: dict[str, str] = {}
 
 
-def query(name: str):
+def query(name: str, sql: str | None = None):
     def keep(f):
         QUERIES[name] = f
+        if sql is not None:
+            SQL[name] = sql
         return f
 
     return keep
 
 
 def batch_files(spark, docs: DataFrame, path: str) -> str:
-    """The test part of a stream as one folder of files a batch, in order; gives a glob for ``readStream``."""
-    rows = docs.filter("batch_id > 0").select("batch_id", "doc_id", "terms").repartition(1).sortWithinPartitions("batch_id", "doc_id")
-    last = docs.agg(F.max("batch_id")).first()[0]
-    for b in range(1, last + 1):
-        rows.filter(F.col("batch_id") == b).drop("batch_id").coalesce(1).write.mode("append").parquet(f"{path}/in")
+    """The test part of a stream as one folder with a file a batch, in order. The rows are split by batch once; each file then reads its own."""
+    rows = docs.filter("batch_id > 0").select("batch_id", "doc_id", "terms")
+    rows.repartition("batch_id").sortWithinPartitions("batch_id", "doc_id").write.partitionBy("batch_id").parquet(f"{path}/split")
+    held = spark.read.schema(rows.schema).parquet(f"{path}/split")
+    for b in range(1, held.agg(F.max("batch_id")).first()[0] + 1):
+        held.filter(F.col("batch_id") == b).drop("batch_id").coalesce(1).sortWithinPartitions("doc_id").write.mode("append").parquet(f"{path}/in")
     return f"{path}/in"
 
 
@@ -69,16 +72,17 @@ def _finished(spark, df: DataFrame, path: str, mode: str = "append") -> DataFram
     return spark.read.schema(df.schema).parquet(f"{path}/out")
 
 
-@query("stream_source")
+@query("stream_source", "SELECT event_id, event_type FROM events")
 def stream_source(spark, d):
     path = folder(spark, "source")
     return _finished(spark, _file_stream(spark, d, path).select("event_id", "event_type"), path)
 
 
-@query("stream_windows")
+@query("stream_windows", "SELECT epoch_us(time_bucket(INTERVAL 6 HOUR, ts)) AS start, count(*) AS n FROM events GROUP BY 1 HAVING epoch_us(time_bucket(INTERVAL 6 HOUR, any_value(ts))) + 21600000000 <= (SELECT epoch_us(max(ts)) - 3600000000 FROM events)")
 def stream_windows(spark, d):
+    """Windows that the watermark has closed."""
     path = folder(spark, "windows")
-    return _finished(spark, detector.late_counts(_file_stream(spark, d, path), "1 hour", "6 hours"), path)
+    return _finished(spark, detector.late_counts(_file_stream(spark, d, path), "1 hour", "6 hours").select(F.unix_micros("start").alias("start"), "n"), path)
 
 
 @query("stream_unrepeated")
@@ -87,14 +91,22 @@ def stream_unrepeated(spark, d):
     return _finished(spark, detector.unrepeated(_file_stream(spark, d, path), "1 hour", "user_id", "event_type").select("event_id", "user_id", "event_type"), path)
 
 
-@query("stream_static_join")
+@query("stream_static_join", "SELECT event_id, c_nationkey FROM events JOIN customer ON c_custkey = user_id")
 def stream_static_join(spark, d):
     path = folder(spark, "joined")
     customers = table(spark, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_nationkey")
     return _finished(spark, _file_stream(spark, d, path).join(customers, "user_id").select("event_id", "c_nationkey"), path)
 
 
-@query("sink_stream")
+@query("stream_interval_join", "SELECT a.event_id AS q, b.event_id AS h FROM events a JOIN events b ON a.user_id = b.user_id AND b.event_id <> a.event_id AND b.ts BETWEEN a.ts - INTERVAL 1 DAY AND a.ts")
+def stream_interval_join(spark, d):
+    """A user's events of the day before each event: two streams, each with a watermark, so that old rows leave the state."""
+    path = folder(spark, "interval")
+    left = _file_stream(spark, d, path)
+    return _finished(spark, detector.within_interval(left, spark.readStream.schema(left.schema).parquet(f"{path}/in"), "event_id", "user_id", "1 hour", "1 day"), path)
+
+
+@query("sink_stream", "SELECT event_id FROM events")
 def sink_stream(spark, d):
     """``foreachBatch`` into a folder a batch: a replay overwrites its own folder."""
     path = folder(spark, "sink")
@@ -106,7 +118,7 @@ def sink_stream(spark, d):
     return spark.read.parquet(f"{path}/out").select("event_id")
 
 
-@query("state_versions")
+@query("state_versions", "SELECT n_regionkey, count(*) AS n FROM nation WHERE n_regionkey <= 1 GROUP BY 1")
 def state_versions(spark, d):
     store = StateStore(spark, folder(spark, "versions"))
     for v in range(3):

@@ -442,6 +442,24 @@ def lsh_collision(spark, d):
     return lsh.collision_law(rows.filter("doc_id % 50 = 0"), rows, 8 * 16)
 
 
+@query("udaf_centroid", "SELECT label, CAST(k - 1 AS INTEGER) AS dim, round(avg(x), 6) AS mean FROM (SELECT label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS k FROM embeddings) GROUP BY ALL")
+def udaf_centroid(spark, d):
+    labels = table(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), "label")
+    return similarity.centroids_grouped(dense(spark, d).join(labels, "doc_id"), "label").withColumn("mean", r6("mean"))
+
+
+@query("udf_grouped_score", f"""WITH x AS (SELECT vec_id AS doc_id, 'd' || (generate_subscripts(embedding, 1) - 1) AS term, unnest(embedding)::DOUBLE AS x FROM embeddings), {signature_sql('x', 'sig', K, L)},
+bands AS (SELECT doc_id, unnest(bands) AS bucket, generate_subscripts(bands, 1) - 1 AS table_no FROM sig), c AS (SELECT * FROM bands QUALIFY row_number() OVER (PARTITION BY table_no, bucket ORDER BY doc_id DESC) <= 64),
+p AS (SELECT DISTINCT a.doc_id AS q, b.doc_id AS h FROM bands a JOIN c b ON a.table_no = b.table_no AND a.bucket = b.bucket AND a.doc_id <> b.doc_id), l AS (SELECT doc_id, sqrt(sum(x * x)) AS l FROM x GROUP BY 1),
+t AS (SELECT q, h, sum(a.x * b.x) AS dot FROM p JOIN x a ON a.doc_id = q JOIN x b ON b.doc_id = h AND a.term = b.term GROUP BY 1, 2), r AS (SELECT q, h, round(1 - dot / (m.l * n.l), 6) AS distance FROM t JOIN l m ON m.doc_id = q JOIN l n ON n.doc_id = h)
+SELECT q, distance, h FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY distance, h) AS r FROM r) WHERE r = 1""")
+def udf_grouped_score(spark, d):
+    """Every vector against the newest 64 of each of its buckets."""
+    rows = dense(spark, d)
+    placed = lsh.buckets(lsh.signatures_dense(rows, K, L).join(rows, "doc_id"), ("v",))
+    return lsh.grouped_nearest(placed, placed, 64)
+
+
 @query("lsh_bucket_stats", f"WITH {ROWS_SQL}, s AS (SELECT table_no, bucket, count(*) AS size FROM bands GROUP BY ALL) SELECT CAST(table_no AS INTEGER) AS table_no, count(*) AS n_buckets, max(size) AS largest, CAST(sum(size * size) AS BIGINT) AS pairs, quantile_cont(size::DOUBLE, 0.5) AS median_size FROM s GROUP BY table_no")
 def lsh_bucket_stats(spark, d):
     return lsh.bucket_stats(lsh.buckets(lsh.signatures(raw_whole(spark, d), K, L)))

@@ -8,8 +8,9 @@ from pyspark.sql import functions as F
 
 from ..functions import sql as macros
 from ..functions.text import tokens
+from ..operators import detect
 from ..sources import snippets, tables
-from ..sources.scratch import folder
+from ..sources.scratch import Scratch, folder
 from ..sources.tables import table
 
 QUERIES: dict = {}
@@ -227,6 +228,16 @@ def join_interval(spark, d):
     return a.join(b, "user_id").filter("h <> q AND u <= t AND u >= t - INTERVAL 1 DAY").groupBy("q").agg(F.count("*").alias("n"))
 
 
+@query("join_recursive", """WITH RECURSIVE o AS (SELECT o_orderkey, o_orderdate, lag(o_orderkey) OVER w AS p, lag(o_orderdate) OVER w AS t FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)),
+e AS (SELECT o_orderkey, CASE WHEN o_orderdate <= t + INTERVAL 180 DAY THEN p END AS up FROM o), r AS (SELECT o_orderkey, o_orderkey AS first_order FROM e WHERE up IS NULL UNION ALL SELECT e.o_orderkey, r.first_order FROM e JOIN r ON e.up = r.o_orderkey) SELECT * FROM r""")
+def join_recursive(spark, d):
+    """Runs of a customer's orders, each within 180 days of the one before, followed to their first by joins that double their reach."""
+    by = W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+    near = F.col("o_orderdate") <= F.lag("o_orderdate").over(by) + F.expr("INTERVAL 180 DAY")
+    links = table(spark, d, "orders").select(F.col("o_orderkey").alias("doc_id"), F.when(near, F.lag("o_orderkey").over(by)).alias("match_id"))
+    return detect.chains(links, Scratch(spark, "runs").write).select(F.col("doc_id").alias("o_orderkey"), F.col("story").alias("first_order"))
+
+
 @query("join_salted", ORDERED)
 def join_salted(spark, d, salts: int = 8):
     """The order side is copied once a salt, so that one order's lines can be in several tasks."""
@@ -260,13 +271,14 @@ def agg_unpivot(spark, d):
 @query("agg_approx")
 def agg_approx(spark, d):
     terms = table(spark, d, "documents").select("doc_id", F.explode(tokens(F.col("text"))).alias("term"))
-    return terms.agg(F.approx_count_distinct("term", 0.02).alias("distinct"), F.hll_sketch_estimate(F.hll_sketch_agg("term")).alias("hll"), F.percentile_approx("doc_id", 0.5).alias("median"))
+    return terms.agg(F.approx_count_distinct("term", 0.02).alias("distinct"), F.hll_sketch_estimate(F.hll_sketch_agg("term")).alias("hll"), F.percentile_approx("doc_id", 0.5).alias("median"), F.expr("kll_sketch_get_quantile_bigint(kll_sketch_agg_bigint(doc_id), 0.5D)").alias("kll_median"))
 
 
-@query("agg_stats", "SELECT l_returnflag, round(quantile_cont(l_quantity, 0.5), 6) AS med, round(stddev_samp(l_quantity), 6) AS sd, round(corr(l_quantity, l_extendedprice), 6) AS r FROM lineitem GROUP BY 1")
+@query("agg_stats", """WITH c AS (SELECT l_returnflag, l_quantity AS most, count(*) AS n FROM lineitem GROUP BY ALL), m AS (SELECT * FROM c QUALIFY row_number() OVER (PARTITION BY l_returnflag ORDER BY n DESC, most) = 1)
+SELECT l_returnflag, any_value(most) AS most, round(quantile_cont(l_quantity, 0.5), 6) AS med, round(stddev_samp(l_quantity), 6) AS sd, round(corr(l_quantity, l_extendedprice), 6) AS r FROM lineitem JOIN m USING (l_returnflag) GROUP BY 1""")
 def agg_stats(spark, d):
     lines = table(spark, d, "lineitem").groupBy("l_returnflag")
-    return lines.agg(F.round(F.expr("percentile(l_quantity, 0.5)"), 6).alias("med"), F.round(F.stddev_samp("l_quantity"), 6).alias("sd"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("r"))
+    return lines.agg(F.mode("l_quantity", True).alias("most"), F.round(F.expr("percentile(l_quantity, 0.5)"), 6).alias("med"), F.round(F.stddev_samp("l_quantity"), 6).alias("sd"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("r"))
 
 
 @query("agg_argmin", "SELECT o_custkey, o_orderkey, o_totalprice FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey) AS r FROM orders) WHERE r = 1")

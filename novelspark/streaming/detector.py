@@ -78,15 +78,26 @@ def unrepeated(stream: DataFrame, delay: str, *keys: str) -> DataFrame:
     return stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay).dropDuplicatesWithinWatermark(list(keys))
 
 
-def keyed_novelty(rows: DataFrame, key: str, threshold: float = 0.5) -> DataFrame:
+def within_interval(left: DataFrame, right: DataFrame, row: str, key: str, delay: str, span: str) -> DataFrame:
+    """(q, h): each left row with the right rows of its key that came at most ``span`` before it, or with it. Both are streams with ``ts``."""
+    side = lambda df, name, at: df.select(F.col(row).alias(name), F.col(key).alias(f"key_{name}"), F.col("ts").cast("timestamp").alias(at)).withWatermark(at, delay)
+    met = (F.col("key_q") == F.col("key_h")) & (F.col("q") != F.col("h")) & (F.col("u") <= F.col("t")) & (F.col("u") >= F.col("t") - F.expr(f"INTERVAL {span}"))
+    return side(left, "q", "t").join(side(right, "h", "u"), met).select("q", "h")
+
+
+def keyed_novelty(rows: DataFrame, key: str, threshold: float = 0.5, ttl: int | None = None) -> DataFrame:
     """(key, seq, new_share, is_novel): a light detector within one key, on a stream of (key, seq, terms).
 
     The state of a key is the set of terms seen so far; a row is novel if the share of terms unseen in its key reaches the threshold.
+    With ``ttl`` (seconds) the rows also hold ``ts``, with a watermark, and a key's state is dropped once the watermark is ``ttl`` past its last row.
     """
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     def step(name: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        seen = set(state.get[0].split("\x1f")) if state.exists else set()
+        if state.hasTimedOut:
+            state.remove()
+            return
+        seen, last = (set(filter(None, state.get[0].split("\x1f"))), state.get[1]) if state.exists else (set(), 0)
         for batch in batches:
             out = []
             for row in batch.sort_values("seq").itertuples():
@@ -94,8 +105,13 @@ def keyed_novelty(rows: DataFrame, key: str, threshold: float = 0.5) -> DataFram
                 share = len(terms - seen) / len(terms) if terms else 1.0
                 out.append((name[0], row.seq, share, share >= threshold))
                 seen |= terms
+                last = max(last, row.ms)
             yield pd.DataFrame(out, columns=["key", "seq", "new_share", "is_novel"])
-        state.update(("\x1f".join(sorted(seen)),))
-
-    grouped = rows.select(F.col(key).cast("bigint").alias("key"), F.col("seq").cast("bigint").alias("seq"), "terms").groupBy("key")
-    return grouped.applyInPandasWithState(step, "key bigint, seq bigint, new_share double, is_novel boolean", "terms string", "append", GroupStateTimeout.NoTimeout)
+        state.update(("\x1f".join(sorted(seen)), last))
+        if ttl:
+            state.setTimeoutTimestamp(max(last + ttl * 1000, state.getCurrentWatermarkMs() + 1))
+
+    at = [F.unix_millis("ts").alias("ms"), "ts"] if ttl else [F.lit(0).cast("bigint").alias("ms")]
+    grouped = rows.select(F.col(key).cast("bigint").alias("key"), F.col("seq").cast("bigint").alias("seq"), "terms", *at).groupBy("key")
+    timeout = GroupStateTimeout.EventTimeTimeout if ttl else GroupStateTimeout.NoTimeout
+    return grouped.applyInPandasWithState(step, "key bigint, seq bigint, new_share double, is_novel boolean", "terms string, last bigint", "append", timeout)
