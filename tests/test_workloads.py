@@ -88,3 +88,16 @@ def test_numbering_is_gapless_and_in_order(spark):
 def test_benchmark_passages_are_found(spark, sf):
     rows = {r.doc_id: r for r in workloads.QUERIES["detect_benchmark"](spark, sf).collect()}
     assert len(rows) == spark.read.parquet(f"{sf}/documents.parquet").count()
+
+
+def test_sketches_keep_their_error_bounds(spark, sf, duck):
+    """Distinct counts within three times their relative error, medians within two hundredths of the rank."""
+    from novelspark import registry
+
+    got = registry.queries()["agg_approx"](spark, sf).first()
+    tok = r"(SELECT doc_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '\p{L}+')) AS term FROM documents)"
+    distinct, n = duck.sql(f"SELECT count(DISTINCT term), count(*) FROM {tok}").fetchall()[0]
+    assert abs(got["distinct"] / distinct - 1) < 0.06 and abs(got["hll"] / distinct - 1) < 0.06
+    for name in ("median", "kll_median"):
+        below, upto = duck.sql(f"SELECT count(*) FILTER (doc_id < {got[name]}), count(*) FILTER (doc_id <= {got[name]}) FROM {tok}").fetchall()[0]
+        assert below / n - 0.02 <= 0.5 <= upto / n + 0.02
