@@ -51,12 +51,15 @@ class StreamDetector:
             now = model.IncrementalModel(self.state.read(number, "frequency"), self.state.read(number, "size"))
         # the history is the training: batch 0; the model of this batch weighs both sides
         both = tf.withColumn("batch_id", F.lit(1).cast("bigint")).unionByName(self.train.withColumn("batch_id", F.lit(0).cast("bigint")))
-        held = now.idf(self.cfg.base).select(F.lit(1).cast("bigint").alias("batch_id"), "term", "idf", "cf")
+        held = now.idf(self.cfg.base).select("term", F.lit(0).cast("bigint").alias("since"), F.lit(None).cast("bigint").alias("next"), "df", "cf", "idf")
         docs = rows.select("doc_id", F.lit(1).cast("bigint").alias("batch_id"))
+        sizes = self.spark.range(2).select(F.col("id").alias("batch_id"), F.lit(None).cast("bigint").alias("n"))
         scratch = Scratch(self.spark, "stream")
-        scored = detect.search(docs, scratch.write(both.select("doc_id", "batch_id", "term", "tf"), "tf"), scratch.write(held, "models"), self.cfg)
+        # within one batch no model changes, whatever the scheme
+        cfg = self.cfg.but(scheme="static", oov="drop")
+        scored = detect.search(docs, scratch.write(both.select("doc_id", "batch_id", "term", "tf"), "tf"), scratch.write(held, "models"), sizes, cfg, scratch)
         scored.write.mode("overwrite").parquet(f"{self.path}/scored/batch={number}")
-        scratch.drop("tf", "models")
+        scratch.drop("tf", "models", "weighed", "history")
 
     def run(self, source: DataFrame) -> None:
         """Takes what the source holds now, a micro-batch after the other; may be called again after a stop."""
