@@ -4,6 +4,7 @@ import pytest
 from novelspark import registry
 
 READ = {
+    "op_cte_recursive": "orders",
     "met_probit": "lineitem",
     "met_cost": "lineitem",
     "lsh_table_count": "lineitem",
