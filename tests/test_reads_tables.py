@@ -4,6 +4,7 @@ import pytest
 from novelspark import registry
 
 READ = {
+    "udtf_bands": "customer",
     "udf_sql_macro": "lineitem",
     "op_cte_recursive": "orders",
     "met_probit": "lineitem",
