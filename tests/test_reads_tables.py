@@ -10,6 +10,7 @@ READ = {
     "met_probit": "lineitem",
     "met_cost": "lineitem",
     "lsh_table_count": "lineitem",
+    "source_snippets": "orders",
 }
 
 
