@@ -59,7 +59,7 @@ class StreamDetector:
         cfg = self.cfg.but(scheme="static", oov="drop")
         scored = detect.search(docs, scratch.write(both.select("doc_id", "batch_id", "term", "tf"), "tf"), scratch.write(held, "models"), sizes, cfg, scratch)
         scored.write.mode("overwrite").parquet(f"{self.path}/scored/batch={number}")
-        scratch.drop("tf", "models", "weighed", "history")
+        scratch.drop("tf", "models", "history")
 
     def run(self, source: DataFrame) -> None:
         """Takes what the source holds now, a micro-batch after the other; may be called again after a stop."""
